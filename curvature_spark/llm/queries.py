@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..sources.catalog import load
-from . import jaccard, mixing, naming, packing, sharding, tokens, topk, urls
+from . import hmm, jaccard, mixing, naming, packing, sharding, tokens, topk, toxicity, urls
 
 
 def vocabulary(name: str) -> str:
@@ -31,6 +31,10 @@ def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.similar_groups(load(spark, sf_dir, "documents"), n=3, num=9, den=10)
 
 
+def op4_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return hmm.score(load(spark, sf_dir, "documents"))
+
+
 def op5_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(load(spark, sf_dir, "documents"), 8)
 
@@ -39,6 +43,11 @@ def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return naming.exact_groups(load(spark, sf_dir, "documents"))
 
 
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, load(spark, sf_dir, "labels")))
+
+
 def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(load(spark, sf_dir, "pages"), urls.rule_table(spark))
 
@@ -54,7 +63,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = (op1_mixing, op2_topk, op3_jaccard_join, op5_sharding, op6_exact_dedup, op8_url_filter, op9_token_counts, op10_packing)
+    found = (op1_mixing, op2_topk, op3_jaccard_join, op4_language_model, op5_sharding, op6_exact_dedup, op7_toxicity, op8_url_filter, op9_token_counts, op10_packing)
     return {f.__name__: f for f in found}
 
 

@@ -18,7 +18,7 @@ from __future__ import annotations
 import os
 import re
 
-import pandas as pd
+import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -130,9 +130,10 @@ def token_counts(docs: DataFrame, path: str, limit: int = LIMIT, chunk: int = CH
     """
 
     def counted(batches):
-        for pdf in batches:
-            yield pd.DataFrame({"doc_id": pdf["doc_id"], "n_bytes": pdf["n_bytes"], "n_tokens": [count(path, t, chunk) for t in pdf["text"]]})
+        for batch in batches:
+            n = pa.array([count(path, t, chunk) for t in batch.column("text").to_pylist()], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("n_bytes"), n], ["doc_id", "n_bytes", "n_tokens"])
 
     sized = docs.select("doc_id", "text", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"))
-    out = sized.mapInPandas(counted, f"doc_id {dict(docs.dtypes)['doc_id']}, n_bytes long, n_tokens long")
+    out = sized.mapInArrow(counted, f"doc_id {dict(docs.dtypes)['doc_id']}, n_bytes long, n_tokens long")
     return out.withColumn("over_limit", F.col("n_tokens") > limit)
