@@ -73,8 +73,8 @@ def compress_cte(k: int, kind: str, size: int, seed: int = 7) -> str:
       SELECT *, sum(m * v * v) OVER (PARTITION BY client ORDER BY r ROWS UNBOUNDED PRECEDING) AS upto, sum(m * v * v) OVER (PARTITION BY client) AS total
       FROM (SELECT *, {rank} AS r FROM d{k}) WHERE true) WHERE total > 0
   ) p JOIN (
-    SELECT client AS c2, least AS k2, (at - {size / W}) / (at - prev) AS chance FROM (
-      SELECT client, least, max(CASE WHEN r = least THEN upto / total END) AS at, coalesce(max(CASE WHEN r = least - 1 THEN upto / total END), 0) AS prev
+    SELECT client AS c2, least AS k2, (reach - {size / W}) / (reach - prev) AS chance FROM (
+      SELECT client, least, max(CASE WHEN r = least THEN upto / total END) AS reach, coalesce(max(CASE WHEN r = least - 1 THEN upto / total END), 0) AS prev
       FROM (SELECT *, min(CASE WHEN upto / total >= {size / W} - 1e-15 THEN r END) OVER (PARTITION BY client) AS least FROM (
         SELECT *, sum(m * v * v) OVER (PARTITION BY client ORDER BY r ROWS UNBOUNDED PRECEDING) AS upto, sum(m * v * v) OVER (PARTITION BY client) AS total
         FROM (SELECT *, {rank} AS r FROM d{k})) WHERE total > 0) GROUP BY client, least)
@@ -138,7 +138,7 @@ def partial_run(size: int, rounds: int, tau: int, seed: int = 7, clients: int =
         s = solve3([f"(h{p} + {'l' if i == j else '0'})" for p, (i, j) in enumerate(ENTRIES)], ["q1", "q2", "q3"])
         ctes.append(f"w{k} AS MATERIALIZED (SELECT {s[0]} AS x1, {s[1]} AS x2, {s[2]} AS x3, l FROM a{k})")
         ctes.append(f"n{k} AS MATERIALIZED (SELECT c AS client FROM (SELECT c, row_number() OVER (ORDER BY {draw_sql(str(seed), str(k), 'c')}, c) AS r FROM range({clients}) t(c)) WHERE r <= {tau})")
-        made = [c.replace(f"x{k}", f"w{k}") for c in oracle_ctes(k, f" WHERE client IN (SELECT client FROM n{k})")]
+        made = [c.replace(f"data, x{k}", f"data, w{k}") for c in oracle_ctes(k, f" WHERE client IN (SELECT client FROM n{k})")]
         ctes += made
         ctes.append(compress_cte(k, "topk", size))
         ctes.append(

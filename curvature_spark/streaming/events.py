@@ -79,18 +79,16 @@ def stream_static_join(spark, sf_dir):
 
 
 def stream_watermark_late(spark, sf_dir):
-    """Rows later than the watermark are left out: of a stream in two parts, the second with old rows, only windows still open count."""
+    """Rows later than the watermark are left out: of a stream in four parts, the third has old rows, which no window takes
+    any more, and the fourth moves time on so that the windows close. The filter for late rows lags one batch."""
     rows = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", "value", "props")
     folder = f"{shared_dir(spark)}/tables/late-{uuid.uuid4().hex}"
-    rows.where("day(ts) >= 20").coalesce(1).write.parquet(f"{folder}/part=0")
-    rows.where("day(ts) < 5").coalesce(1).write.parquet(f"{folder}/part=1")
-    rows.where("day(ts) >= 29").withColumn("ts", F.col("ts") + F.expr("INTERVAL 60 DAYS")).coalesce(1).write.parquet(f"{folder}/part=2")
-    out = None
-    spark.conf.get("spark.sql.session.timeZone")
-    stream = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", "1").option("latestFirst", "false").parquet(f"{folder}/part=*")
+    later = rows.where("day(ts) >= 29").withColumn("ts", F.col("ts") + F.expr("INTERVAL 60 DAYS"))
+    for n, part in enumerate((rows.where("day(ts) BETWEEN 20 AND 28"), rows.where("day(ts) >= 29"), rows.where("day(ts) < 5"), later)):
+        part.coalesce(1).write.parquet(f"{folder}/part={n}")
+    stream = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", "1").parquet(f"{folder}/part=*")
     agg = stream.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n"))
-    out = run(agg.select(F.col("w.start").alias("start"), "n"), "append")
-    return out.where("month(start) = 1")
+    return run(agg.select(F.col("w.start").alias("start"), "n"), "append").where("month(start) = 1")
 
 
 def stream_stateful_shift(spark, sf_dir):
@@ -98,13 +96,13 @@ def stream_stateful_shift(spark, sf_dir):
     stream, _ = source(spark, sf_dir, parts=3)
 
     def update(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        n, total = state.get if state.exists else (0, 0.0)
+        n, cents = state.get if state.exists else (0, 0)
         for pdf in batches:
-            n, total = n + len(pdf), total + float(pdf["value"].sum())
-        state.update((n, total))
-        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "shift": [total / n]})
+            n, cents = n + len(pdf), cents + int(np.round(pdf["value"] * 100).sum())
+        state.update((n, cents))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "shift": [cents / 100 / n]})
 
-    out = stream.select("user_id", "value").groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, shift double", "n long, total double", "update", GroupStateTimeout.NoTimeout)
+    out = stream.select("user_id", "value").groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, shift double", "n long, cents long", "update", GroupStateTimeout.NoTimeout)
     table = run(out, "update")
     return table.groupBy("user_id").agg(F.max("n").alias("n"), F.round(F.max_by("shift", "n"), 6).alias("shift"))
 
@@ -181,6 +179,6 @@ def oracle_sql() -> dict[str, str]:
         "stream_session": "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 12 HOUR THEN 0 ELSE 1 END AS b FROM events), s AS (SELECT user_id, ts, sum(b) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT min(ts) AS start, user_id, count(*) AS n FROM s GROUP BY user_id, k",
         "stream_dedup": "SELECT event_id, user_id FROM events",
         "stream_static_join": "SELECT event_id, m.mean FROM events e JOIN (SELECT event_type, round(avg(value), 6) AS mean FROM events GROUP BY 1) m ON e.event_type = m.event_type",
-        "stream_stateful_shift": "SELECT user_id, count(*) AS n, round(avg(value), 6) AS shift FROM events GROUP BY user_id",
+        "stream_stateful_shift": "SELECT user_id, count(*) AS n, round(sum(CAST(round(value * 100) AS BIGINT)) / 100.0::DOUBLE / count(*), 6) AS shift FROM events GROUP BY user_id",
         "stream_watermark_late": "SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, count(*) AS n FROM events WHERE day(ts) >= 20 GROUP BY 1",
     }
