@@ -36,12 +36,14 @@ STATES, ROUNDS = 8, 6
 #: Most frequent words that are broadcast with their counts.
 HEAD = 100_000
 #: Training texts are cut to windows of this many tokens; scoring takes whole texts.
-WINDOW = 512
+WINDOW = 256
 #: Tokens whose state probabilities are in memory at once.
-TOGETHER = 1 << 16
+TOGETHER = 1 << 18
 #: Tokens from which on a text is scored by segments side by side.
 LONG, SEGMENT = 1 << 15, 1 << 11
 FLUSH = 300_000
+#: Texts encoded at once.
+SLICE = 500
 HELD_OUT, FOLDS = 2, 7
 
 
@@ -89,15 +91,17 @@ def forward(model: Model, sequences: list[np.ndarray]) -> np.ndarray:
     for i, s in enumerate(sequences):
         if len(s) > LONG:
             out[i] = _forward_long(model, s)
+    step = model.step.T.copy()
     for part in _parts(sequences, short):
         order, symbols, alive = time_major([sequences[i] for i in part])
         logs, at, state = np.zeros(len(part)), 0, None
         for n in alive:
-            seen = model.emit[symbols[at : at + n]]
-            state = (model.start if state is None else state[:n] @ model.step) * seen
-            scale = state.sum(axis=1)
+            # One column a sequence: sums over states are sums of long rows.
+            seen = model.emit[symbols[at : at + n]].T
+            state = (model.start[:, None] if state is None else step @ state[:, :n]) * seen
+            scale = state.sum(axis=0)
             logs[:n] += np.log(scale)
-            state /= scale[:, None]
+            state /= scale
             at += n
         out[np.array(part)[order]] = logs
     return out
@@ -145,42 +149,48 @@ def _parts(sequences: list[np.ndarray], which: list[int]) -> Iterable[list[int]]
         yield part
 
 
-def expected_counts(model: Model, windows: list[np.ndarray], first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+def expected_counts(model: Model, windows: list[np.ndarray], first: np.ndarray, dtype=None) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
     """Expected start, step and emission counts of the windows, and their log likelihood.
 
-    first tells windows that begin a text: only those count towards the start.
+    first tells windows that begin a text: only those count towards the start. dtype may ask for single
+    precision, which the scaled recursions bear in training.
     """
     states = len(model.start)
     start, step, emit, like = np.zeros(states), np.zeros((states, states)), np.zeros_like(model.emit), 0.0
+    exact = model.step.dtype if dtype is None else dtype
+    forth, back, table, first_state = model.step.T.astype(exact), model.step.astype(exact), model.emit.astype(exact), model.start.astype(exact)[:, None]
     for part in _parts(windows, list(range(len(windows)))):
         order, symbols, alive = time_major([windows[i] for i in part])
         begins = first[np.array(part)[order]]
-        seen = model.emit[symbols]
+        seen = np.ascontiguousarray(table[symbols].T)
         ends = np.cumsum(alive)
-        alpha, scales = np.empty_like(seen), np.empty(len(symbols))
+        alpha, scales = np.empty_like(seen), np.empty(len(symbols), dtype=exact)
         state, at = None, 0
-        for n in alive:
-            state = (model.start if state is None else state[:n] @ model.step) * seen[at : at + n]
-            scale = state.sum(axis=1)
-            state = state / scale[:, None]
-            alpha[at : at + n], scales[at : at + n] = state, scale
+        for n in alive.tolist():
+            state = (first_state if state is None else forth @ state[:, :n]) * seen[:, at : at + n]
+            scale = state.sum(axis=0)
+            state /= scale
+            alpha[:, at : at + n], scales[at : at + n] = state, scale
             at += n
-        like += float(np.log(scales).sum())
-        beta = np.ones((int(alive[-1]), states))
-        gamma = np.empty_like(alpha)
+        like += float(np.log(scales.astype(np.float64)).sum())
+        seen /= scales
+        beta = np.ones((states, int(alive[-1])), dtype=exact)
+        pairs = np.zeros((states, states), dtype=exact)
         for t in range(len(alive) - 1, -1, -1):
             n, at = int(alive[t]), int(ends[t]) - int(alive[t])
-            if len(beta) < n:
-                beta = np.concatenate([beta, np.ones((n - len(beta), states))])
-            gamma[at : at + n] = alpha[at : at + n] * beta
+            if beta.shape[1] < n:
+                beta = np.concatenate([beta, np.ones((states, n - beta.shape[1]), dtype=exact)], axis=1)
             if t:
-                arriving = seen[at : at + n] * beta / scales[at : at + n, None]
+                arriving = seen[:, at : at + n] * beta
                 before = int(ends[t - 1]) - int(alive[t - 1])
-                step += alpha[before : before + n].T @ arriving
-                beta = arriving @ model.step.T
-        start += gamma[: len(part)][begins].sum(axis=0)
+                pairs += alpha[:, before : before + n] @ arriving.T
+            alpha[:, at : at + n] *= beta  # the states' probabilities from here on
+            if t:
+                beta = back @ arriving
+        step += pairs
+        start += alpha[:, : len(part)][:, begins].sum(axis=1)
         for s in range(states):
-            emit[:, s] += np.bincount(symbols, weights=gamma[:, s], minlength=len(emit))
+            emit[:, s] += np.bincount(symbols, weights=alpha[s], minlength=len(emit))
     return start, step * model.step, emit, like
 
 
@@ -202,6 +212,21 @@ def _word_counts(train: DataFrame, owner: str) -> DataFrame:
     return written(parts.groupBy("word").agg(F.sum("c").alias("c")), "lm-words", owner)
 
 
+def _frequent(counts: DataFrame) -> dict[bytes, int]:
+    """Words and counts from some count on, HEAD of them at most.
+
+    The count comes from a histogram on a logarithmic scale, so only words that are kept reach the driver.
+    """
+    size = F.floor(8 * F.log2("c")).cast("int")
+    least, held = None, 0
+    for k, n in sorted(((r.k, r.n) for r in counts.groupBy(size.alias("k")).agg(F.count(F.lit(1)).alias("n")).collect()), reverse=True):
+        held += n
+        if held > HEAD:
+            break
+        least = k
+    return {} if least is None else {bytes(r.word): r.c for r in counts.where(size >= least).collect()}
+
+
 class Resolver(dict):
     """word -> (class, log10 base probability, log10 P(word | class)); words outside the head have no logs."""
 
@@ -238,27 +263,33 @@ def score(docs: DataFrame, states: int = STATES, rounds: int = ROUNDS, seed: int
     class_tokens, class_types = np.zeros(CLASSES + 1), np.zeros(CLASSES + 1)
     for k, c, v in counts.where(F.length("word") > 0).groupBy(class_column.alias("k")).agg(F.sum("c"), F.count(F.lit(1))).collect():
         class_tokens[k], class_types[k] = c, v
-    head = {bytes(r.word): r.c for r in counts.orderBy(F.desc("c"), "word").limit(HEAD).collect()}
+    head = _frequent(counts)
     ends = head.setdefault(b"", 0)
     sent = sc.broadcast((head, n_tokens, n_types, class_tokens, class_types))
 
-    fields = pa.schema([("n_tokens", pa.int64()), ("known", pa.int64()), ("base_log", pa.float64()), ("class_log", pa.float64()), ("symbols", pa.binary()), ("tail", pa.list_(pa.struct([("word", pa.binary()), ("n", pa.int64())])))])
-
     def encode(batches):
         words, base, row = Resolver(*sent.value), TaskContext.get().partitionId() << 33, 0
-        for batch in batches:
-            out = []
-            for text in batch.column("raw").to_pylist():
-                seen = [*lowered_words(text), b""]
-                found = list(map(words.__getitem__, seen))
-                logs = [x[1] for x in found if x[1] is not None]
-                tail = Counter(w for w, x in zip(seen, found, strict=True) if x[1] is None) if len(logs) < len(found) else {}
-                symbols = np.array([x[0] for x in found], dtype="<u2").tobytes()
-                out.append((len(found), len(logs) - (0 if ends else 1), sum(logs), sum(x[2] for x in found), symbols, [{"word": w, "n": n} for w, n in tail.items()]))
-            numbers = pa.array(np.arange(base + row, base + row + len(out)), pa.int64())
-            row += len(out)
-            columns = [pa.array([x[i] for x in out], f.type) for i, f in enumerate(fields)]
-            yield pa.RecordBatch.from_arrays([numbers, batch.column("doc_id"), batch.column("held_out"), *columns], ["row_no", "doc_id", "held_out", *fields.names])
+        for whole in batches:
+            for at in range(0, whole.num_rows, SLICE):
+                batch = whole.slice(at, SLICE)
+                numbers, logs, symbols, tail_words, tail_counts, ends_at = [], [], [], [], [], [0]
+                for text in batch.column("raw").to_pylist():
+                    seen = [*lowered_words(text), b""]
+                    found = list(map(words.__getitem__, seen))
+                    base_logs = [x[1] for x in found if x[1] is not None]
+                    if len(base_logs) < len(found):
+                        for w, n in Counter(w for w, x in zip(seen, found, strict=True) if x[1] is None).items():
+                            tail_words.append(w)
+                            tail_counts.append(n)
+                    ends_at.append(len(tail_words))
+                    numbers.append((len(found), len(base_logs) - (0 if ends else 1)))
+                    logs.append((sum(base_logs), sum(x[2] for x in found)))
+                    symbols.append(np.array([x[0] for x in found], dtype="<u2").tobytes())
+                tail = pa.ListArray.from_arrays(pa.array(ends_at, pa.int32()), pa.StructArray.from_arrays([pa.array(tail_words, pa.binary()), pa.array(tail_counts, pa.int64())], ["word", "n"]))
+                made = [pa.array(np.arange(base + row, base + row + batch.num_rows), pa.int64()), batch.column("doc_id"), batch.column("held_out")]
+                made += [pa.array([x[i] for x in numbers], pa.int64()) for i in (0, 1)] + [pa.array([x[i] for x in logs], pa.float64()) for i in (0, 1)]
+                yield pa.RecordBatch.from_arrays([*made, pa.array(symbols, pa.binary()), tail], ["row_no", "doc_id", "held_out", "n_tokens", "known", "base_log", "class_log", "symbols", "tail"])
+                row += batch.num_rows
 
     kind = dict(docs.dtypes)["doc_id"]
     encoded = written(
@@ -329,7 +360,7 @@ def train(texts: DataFrame, class_sizes: np.ndarray, ends: float, states: int =
                         windows.append(symbols[a : a + WINDOW])
                         first.append(a == 0)
                 for some in range(0, len(windows), 4096):
-                    x = expected_counts(current, windows[some : some + 4096], np.array(first[some : some + 4096], dtype=bool))
+                    x = expected_counts(current, windows[some : some + 4096], np.array(first[some : some + 4096], dtype=bool), np.float32)
                     start, step, emit = start + x[0], step + x[1], emit + x[2]
             at = np.nonzero(emit.sum(axis=1))[0]
             rows = [(int(k), *emit[k]) for k in at] + [(-1, *start)] + [(-2 - i, *step[i]) for i in range(states)]

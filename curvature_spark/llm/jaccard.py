@@ -2,12 +2,12 @@
 
 1. Every text becomes its set of hashed n-grams. Equal sets are one class; classes, not copies, are compared.
 2. Two sets of at least that similarity share one of their first s - ceil(t s) + 1 n-grams in any fixed
-   order. The order puts n-grams that are common in the corpus last (counts in a table of fixed size; a
-   collision there only changes the order). The n-grams a set shows this way are its tiles.
+   order. The order is by the corpus count of an n-gram's rarest word, rare first (counts of all words in a table of
+   fixed size; a collision there only changes the order). The n-grams a set shows this way are its tiles.
 3. Tiles are banded by set size: only sizes within the bound of each other are compared.
    First every class meets the least class of its tile; found links are contracted. Then classes of one
    tile that are not yet connected meet each other, large tiles as a grid of blocks ordered by size.
-4. A pair must pass its 512-bit signatures: with d differing bits the overlap is at most (|A| + |B| - d) / 2.
+4. A pair must pass its 2048-bit signatures: with d differing bits the overlap is at most (|A| + |B| - d) / 2.
    What passes is decided by intersecting the two sorted hash arrays.
 5. Links are contracted to components.
 
@@ -21,52 +21,103 @@ import hashlib
 
 import numpy as np
 import pandas as pd
-import xxhash
-from pyspark.sql import Column, DataFrame
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.cuts import written
 from .components import components
-from .words import lowered_words
 
-SKETCH_BITS = 16
-SIGNATURE_WORDS = 8
+#: Slots of the table of word counts: at most 262,144 numbers on the driver.
+SKETCH_BITS = 18
+SIGNATURE_WORDS = 32
 #: Rows of a tile that one task compares with each other.
 GRID = 1024
 #: Bits of the filter of documents whose sets are wanted (1 MB); fuller filters pass more, never less.
 WANTED_BITS = 23
-WORDS_REMEMBERED = 500_000
+#: Bytes of text hashed at once; longer texts are hashed piece by piece, cut at white space.
+PIECE = 1 << 20
 U = np.uint64
+#: One random 64-bit number a byte value, and an odd base: a word's hash is a polynomial over its bytes.
+BYTE_VALUES = np.random.default_rng(20240101).integers(0, 1 << 63, 256, dtype=np.uint64) * U(2) + U(1)
+BASE = 0x9E3779B97F4A7C15
+INVERSE = pow(BASE, -1, 1 << 64)
+IS_SPACE = np.isin(np.arange(256), list(b" \t\n\x0b\x0c\r"))
+
+_powers: list[np.ndarray] = [np.ones(1, dtype=U), np.ones(1, dtype=U)]
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
     """A bijective scrambling of 64-bit integers (fixed values: the finaliser constants of a public generator)."""
-    with np.errstate(over="ignore"):
-        x = (x ^ (x >> U(30))) * U(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> U(27))) * U(0x94D049BB133111EB)
+    x = (x ^ (x >> U(30))) * U(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> U(27))) * U(0x94D049BB133111EB)
     return x ^ (x >> U(31))
 
 
-class WordHashes(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= WORDS_REMEMBERED:
-            self.clear()
-        h = self[word] = xxhash.xxh3_64_intdigest(word)
-        return h
+def _power_tables(n: int) -> list[np.ndarray]:
+    """Powers of the base and of its inverse, 0 to n - 1 at least."""
+    if len(_powers[0]) < n:
+        size = 1 << max(12, (n - 1).bit_length())
+        for i, base in enumerate((BASE, INVERSE)):
+            steps = np.full(size, base, dtype=U)
+            steps[0] = 1
+            _powers[i] = np.cumprod(steps, dtype=U)
+    return _powers
+
+
+def word_hashes(raw: bytes) -> np.ndarray:
+    """A 64-bit hash of every word after lower-casing A to Z, in order."""
+    if len(raw) > PIECE:
+        parts, start = [], 0
+        while start < len(raw):
+            end = min(len(raw), start + PIECE)
+            while end < len(raw) and not IS_SPACE[raw[end]]:
+                end += 1
+            parts.append(_hashes(raw[start:end]))
+            start = end
+        return np.concatenate(parts)
+    return _hashes(raw)
+
+
+def _hashes(raw: bytes) -> np.ndarray:
+    b = np.frombuffer(raw.lower(), dtype=np.uint8)
+    edge = np.ones(len(b) + 2, dtype=bool)
+    edge[1:-1] = IS_SPACE[b]
+    turns = np.nonzero(edge[1:] != edge[:-1])[0]
+    starts, ends = turns[::2], turns[1::2]
+    powers, inverse = _power_tables(len(b) + 1)
+    running = np.zeros(len(b) + 1, dtype=U)
+    np.cumsum(BYTE_VALUES[b] * powers[: len(b)], out=running[1:])
+    return mixed((running[ends] - running[starts]) * inverse[starts] + (ends - starts).astype(U))
+
+
+def _grams(h: np.ndarray, n: int) -> np.ndarray:
+    """Hashes of the n-grams by position; one of the whole sequence if it is shorter."""
+    width = min(n, len(h))
+    x = np.full(len(h) - width + 1, width, dtype=U)
+    for i in range(width):
+        x = mixed(x * U(BASE) + h[i : len(h) - width + 1 + i])
+    return x
+
 
+def shingles(raw: bytes | None, n: int) -> np.ndarray:
+    """Sorted distinct hashes of the word n-grams; none without words."""
+    h = word_hashes(raw) if raw else np.empty(0, dtype=U)
+    return np.unique(_grams(h, n)) if len(h) else h
 
-def shingles(raw: bytes | None, n: int, hashes: WordHashes) -> np.ndarray:
-    """Sorted distinct hashes of the word n-grams; one of the whole sequence if it is shorter; none without words."""
-    words = lowered_words(raw)
-    if not words:
-        return np.empty(0, dtype=U)
-    h = np.array(list(map(hashes.__getitem__, words)), dtype=U)
+
+def ranked_shingles(raw: bytes, n: int, ranks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The same set, and for each n-gram the least rank of its words."""
+    h = word_hashes(raw)
+    if not len(h):
+        return h, np.empty(0, dtype=ranks.dtype)
+    word = ranks[(h & U((1 << SKETCH_BITS) - 1)).astype(np.int64)]
     width = min(n, len(h))
-    with np.errstate(over="ignore"):
-        x = np.full(len(h) - width + 1, width, dtype=U)
-        for i in range(width):
-            x = mixed(x * U(0x9E3779B97F4A7C15) + h[i : len(h) - width + 1 + i])
-    return np.unique(x)
+    least = word[: len(h) - width + 1].copy()
+    for i in range(1, width):
+        np.minimum(least, word[i : len(h) - width + 1 + i], out=least)
+    s, at = np.unique(_grams(h, n), return_index=True)
+    return s, least[at]
 
 
 def prefix_length(size: int, num: int, den: int) -> int:
@@ -74,10 +125,9 @@ def prefix_length(size: int, num: int, den: int) -> int:
     return size - -(-size * num // den) + 1
 
 
-def shown(s: np.ndarray, ranks: np.ndarray, num: int, den: int) -> np.ndarray:
-    """The first n-grams of `s` by (corpus count, hash)."""
-    order = np.lexsort((s, ranks[(s & U((1 << SKETCH_BITS) - 1)).astype(np.int64)]))
-    return s[order[: prefix_length(len(s), num, den)]]
+def shown(s: np.ndarray, rank: np.ndarray, num: int, den: int) -> np.ndarray:
+    """The first n-grams of `s` by (rank, hash)."""
+    return s[np.argsort(rank, kind="stable")[: prefix_length(len(s), num, den)]]
 
 
 def signature(s: np.ndarray) -> np.ndarray:
@@ -92,38 +142,41 @@ def _raw(docs: DataFrame) -> DataFrame:
 
 
 def _base(docs: DataFrame, n: int, owner: str) -> DataFrame:
-    """Per document its set size and set digest; per task the n-gram counts of the sketch; one written table."""
+    """Per document its set size and set digest; per task the word counts of the sketch; one written table."""
+    names = ["doc_id", "n", "digest", "slot", "hits"]
+    kinds = [pa.int64(), pa.int64(), pa.binary(), pa.int32(), pa.int64()]
 
     def work(batches):
-        hashes, counts = WordHashes(), np.zeros(1 << SKETCH_BITS, dtype=np.int64)
-        for pdf in batches:
+        counts = np.zeros(1 << SKETCH_BITS, dtype=np.int64)
+        for batch in batches:
             size, digest = [], []
-            for raw in pdf["raw"]:
-                s = shingles(raw, n, hashes)
+            for raw in batch.column("raw").to_pylist():
+                h = word_hashes(raw) if raw else ()
+                s = np.unique(_grams(h, n)) if len(h) else h
                 size.append(len(s))
                 digest.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
-                counts += np.bincount((s & U((1 << SKETCH_BITS) - 1)).astype(np.int64), minlength=1 << SKETCH_BITS) if len(s) > 4096 else 0
-                if 0 < len(s) <= 4096:
-                    np.add.at(counts, (s & U((1 << SKETCH_BITS) - 1)).astype(np.int64), 1)
-            yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "n": size, "digest": digest, "slot": -1, "hits": 0})
+                if len(h):
+                    np.add.at(counts, (h & U((1 << SKETCH_BITS) - 1)).astype(np.int64), 1)
+            rows = len(size)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *[pa.array(v, k) for v, k in zip((size, digest, [-1] * rows, [0] * rows), kinds[1:], strict=True)]], names)
         at = np.nonzero(counts)[0]
-        yield pd.DataFrame({"doc_id": pd.array([None] * len(at), dtype="Int64"), "n": -1, "digest": None, "slot": at, "hits": counts[at]})
+        yield pa.RecordBatch.from_arrays([pa.nulls(len(at), kinds[0]), pa.array(np.full(len(at), -1), kinds[1]), pa.nulls(len(at), kinds[2]), pa.array(at, kinds[3]), pa.array(counts[at], kinds[4])], names)
 
-    return written(_raw(docs).mapInPandas(work, "doc_id long, n long, digest binary, slot int, hits long"), "jaccard-base", owner)
+    return written(_raw(docs).mapInArrow(work, "doc_id long, n long, digest binary, slot int, hits long"), "jaccard-base", owner)
 
 
 def _sketch_ranks(base: DataFrame) -> np.ndarray:
-    """Counts of the sketch, coarsened to whole powers of sqrt 2: nearby counts keep the hash order."""
-    ranks = np.zeros(1 << SKETCH_BITS, dtype=np.int64)
-    for slot, hits in base.where("slot >= 0").groupBy("slot").agg(F.sum("hits").alias("hits")).collect():
-        ranks[slot] = int(2 * np.log2(1 + hits))
+    """Counts of the sketch on a logarithmic scale of 8 bits."""
+    ranks = np.zeros(1 << SKETCH_BITS, dtype=np.uint8)
+    found = base.where("slot >= 0").groupBy("slot").agg(F.sum("hits").alias("hits")).toArrow()
+    ranks[found["slot"].to_numpy()] = np.minimum(255, 4 * np.log2(1.0 + found["hits"].to_numpy())).astype(np.uint8)
     return ranks
 
 
 def _wanted(ids: DataFrame) -> np.ndarray:
     """A filter of bounded size over the column `node`."""
     bit = F.pmod(F.xxhash64("node"), F.lit(1 << WANTED_BITS))
-    words = ids.select((F.shiftright(bit, 6)).alias("at"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64(node), {1 << WANTED_BITS}) % 64 as int))").alias("mask"))
+    words = ids.select(F.shiftright(bit, 6).alias("at"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64(node), {1 << WANTED_BITS}) % 64 as int))").alias("mask"))
     table = np.zeros(1 << (WANTED_BITS - 6), dtype=np.uint64)
     for at, mask in words.groupBy("at").agg(F.bit_or("mask")).collect():
         table[at] = U(mask & 0xFFFFFFFFFFFFFFFF)
@@ -135,16 +188,15 @@ def _sets_of(docs: DataFrame, nodes: DataFrame, n: int, owner: str) -> DataFrame
     sent = docs.sparkSession.sparkContext.broadcast(_wanted(nodes))
 
     def work(batches):
-        hashes, table = WordHashes(), sent.value
-        for pdf in batches:
-            bit = pdf["bit"].to_numpy()
-            keep = (table[bit >> 6] >> (bit & 63).astype(U)) & U(1) == 1
-            part = pdf[keep & pdf["node"].notna().to_numpy()]
-            sets = [shingles(raw, n, hashes) for raw in part["raw"]]
-            yield pd.DataFrame({"node": part["node"].astype("int64"), "set": [s.tobytes() for s in sets], "digest": [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]})
-
-    rows = _raw(docs).select(F.col("doc_id").alias("node"), "raw", F.pmod(F.xxhash64("doc_id"), F.lit(1 << WANTED_BITS)).alias("bit"))
-    sets = rows.mapInPandas(work, "node long, set binary, digest binary").join(nodes, "node", "left_semi")
+        table = sent.value
+        for batch in batches:
+            bit = batch.column("bit").to_numpy()
+            part = batch.filter(pa.array((table[bit >> 6] >> (bit & 63).astype(U)) & U(1) == 1))
+            sets = [shingles(raw, n).tobytes() for raw in part.column("raw").to_pylist()]
+            yield pa.RecordBatch.from_arrays([part.column("node"), pa.array(sets, pa.binary()), pa.array([hashlib.blake2b(s, digest_size=16).digest() for s in sets], pa.binary())], ["node", "set", "digest"])
+
+    rows = _raw(docs).where(F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("node"), "raw", F.pmod(F.xxhash64("doc_id"), F.lit(1 << WANTED_BITS)).alias("bit"))
+    sets = rows.mapInArrow(work, "node long, set binary, digest binary").join(nodes, "node", "left_semi")
     return written(sets.groupBy("node").agg(F.min(F.struct("digest", "set")).alias("s")).select("node", "s.set"), "jaccard-sets", owner)
 
 
@@ -188,16 +240,19 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     ranks = docs.sparkSession.sparkContext.broadcast(_sketch_ranks(base))
 
     def show(batches):
-        hashes, order = WordHashes(), ranks.value
-        for pdf in batches:
-            out = []
-            for doc_id, raw in zip(pdf["doc_id"], pdf["raw"], strict=True):
-                s = shingles(raw, n, hashes) if not pd.isna(doc_id) else ()
-                if len(s):
-                    out.append((int(doc_id), len(s), shown(s, order, num, den).view(np.int64), signature(s), hashlib.blake2b(s.tobytes(), digest_size=16).digest()))
-            yield pd.DataFrame(out, columns=["rep", "n", "shown", "sig", "digest"])
-
-    shown_rows = _raw(docs).mapInPandas(show, "rep long, n long, shown array<bigint>, sig array<bigint>, digest binary")
+        for batch in batches:
+            size, first, bits, digest = [], [], [], []
+            for raw in batch.column("raw").to_pylist():
+                s, rank = ranked_shingles(raw or b"", n, ranks.value)
+                size.append(len(s))
+                first.append(shown(s, rank, num, den).view(np.int64) if len(s) else [])
+                bits.append(signature(s) if len(s) else [])
+                digest.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
+            longs = pa.list_(pa.int64())
+            made = pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(size, pa.int64()), pa.array(first, longs), pa.array(bits, longs), pa.array(digest, pa.binary())], ["rep", "n", "shown", "sig", "digest"])
+            yield made.filter(pa.array(np.array(size, dtype=np.int64) > 0))
+
+    shown_rows = _raw(docs).where(F.col("doc_id").isNotNull()).mapInArrow(show, "rep long, n long, shown array<bigint>, sig array<bigint>, digest binary")
     # Of a class only its representative is compared; of rows that share an id, the one with the least set.
     keep = classes.groupBy("rep").agg(F.min("digest").alias("digest"))
     reps = shown_rows.join(keep, ["rep", "digest"]).dropDuplicates(["rep"])
@@ -238,8 +293,6 @@ def _apart_pairs(tiles: DataFrame, about: DataFrame, num: int, den: int, owner:
     A tile is cut into blocks of about GRID rows in order of set size (size bands: blocks out of reach of
     each other never meet); every task compares two blocks.
     """
-    from pyspark.sql import Window
-
     in_tile = Window.partitionBy("tile").orderBy("n", "rep")
     small = tiles.where(F.col("members") <= GRID).withColumn("block", F.lit(0)).withColumn("blocks", F.lit(1))
     large = tiles.where(F.col("members") > GRID).withColumn("block", F.floor((F.row_number().over(in_tile) - 1) / GRID).cast("int")).withColumn("blocks", F.ceil(F.col("members") / GRID).cast("int"))
@@ -247,28 +300,46 @@ def _apart_pairs(tiles: DataFrame, about: DataFrame, num: int, den: int, owner:
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     rows = rows.select("tile", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "rep", "n", "root", "sig")
 
-    def compare(pdf: pd.DataFrame) -> pd.DataFrame:
-        low, high = pdf["low"].iloc[0], pdf["high"].iloc[0]
-        x, y = pdf[pdf["block"] == low], pdf[pdf["block"] == high]
-        if not len(x) or not len(y):
-            return pd.DataFrame({"a": np.empty(0, dtype=np.int64), "b": np.empty(0, dtype=np.int64)})
-        sx, sy = np.stack(x["sig"].to_list()), np.stack(y["sig"].to_list())
-        nx, ny = x["n"].to_numpy(), y["n"].to_numpy()
-        rx, ry, ix, iy = x["root"].to_numpy(), y["root"].to_numpy(), x["rep"].to_numpy(), y["rep"].to_numpy()
+    dealt = rows.repartition("tile", "low", "high").sortWithinPartitions("tile", "low", "high", "n", "rep")
+
+    def compare(batches):
+        """Runs of equal (tile, low, high) in the sorted rows; a run that goes on in the next batch is carried over."""
+        rest = None
+        for batch in batches:
+            table = pa.Table.from_batches([batch]) if rest is None else pa.concat_tables([rest, pa.Table.from_batches([batch])])
+            key = [table.column(c).to_numpy() for c in ("tile", "low", "high")]
+            edges = np.concatenate([[0], np.nonzero((key[0][1:] != key[0][:-1]) | (key[1][1:] != key[1][:-1]) | (key[2][1:] != key[2][:-1]))[0] + 1])
+            last = int(edges[-1])
+            yield pairs_of(table.slice(0, last), np.append(edges[:-1], last))
+            rest = table.slice(last)
+        if rest is not None:
+            yield pairs_of(rest, np.array([0, rest.num_rows]))
+
+    def pairs_of(table, edges):
+        """Pairs of each run: rows of its low block against rows of its high block, the arrays taken out once."""
+        low, high, block, n, rep, root = (table.column(c).to_numpy() for c in ("low", "high", "block", "n", "rep", "root"))
+        sig = table.column("sig").combine_chunks().flatten().to_numpy().reshape(-1, SIGNATURE_WORDS) if table.num_rows else np.empty((0, SIGNATURE_WORDS), dtype=np.int64)
         a, b = [], []
-        for i in range(len(x)):
-            fits = (rx[i] != ry) & (num * np.maximum(nx[i], ny) <= den * np.minimum(nx[i], ny))
-            j = np.nonzero(fits)[0]
-            if len(j):
-                d = np.bitwise_count((sx[i] ^ sy[j]).view(np.uint64)).sum(axis=1, dtype=np.int64)
-                j = j[(den + num) * (nx[i] + ny[j] - d) >= 2 * num * (nx[i] + ny[j])]
-                a.append(np.minimum(ix[i], iy[j]))
-                b.append(np.maximum(ix[i], iy[j]))
-        if not a:
-            return pd.DataFrame({"a": np.empty(0, dtype=np.int64), "b": np.empty(0, dtype=np.int64)})
-        return pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(b)}).drop_duplicates()
-
-    return rows.groupBy("tile", "low", "high").applyInPandas(compare, "a long, b long").distinct()
+        for x, y in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+            if y - x < 2:
+                continue
+            mine = np.arange(x, y)[block[x:y] == low[x]]
+            same = low[x] == high[x]
+            others = mine if same else np.arange(x, y)[block[x:y] == high[x]]
+            for q, i in enumerate(mine.tolist()):
+                # Rows are in order of set size, so only a stretch of them is in reach.
+                near = others[q + 1 :] if same else others
+                near = near[(root[near] != root[i]) & (num * np.maximum(n[i], n[near]) <= den * np.minimum(n[i], n[near]))]
+                if len(near):
+                    d = np.bitwise_count((sig[i] ^ sig[near]).view(np.uint64)).sum(axis=1, dtype=np.int64)
+                    near = near[(den + num) * (n[i] + n[near] - d) >= 2 * num * (n[i] + n[near])]
+                    a.append(np.minimum(rep[i], rep[near]))
+                    b.append(np.maximum(rep[i], rep[near]))
+        empty = np.empty(0, dtype=np.int64)
+        found = np.unique(np.stack([np.concatenate([empty, *a]), np.concatenate([empty, *b])], axis=1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(found[:, 0], pa.int64()), pa.array(found[:, 1], pa.int64())], ["a", "b"])
+
+    return dealt.mapInArrow(compare, "a long, b long").distinct()
 
 
 def one_of_each_group(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owner: str = "session") -> DataFrame:
