@@ -22,11 +22,13 @@ BLOCK_CHARS = 32768
 
 
 def _names(distinct: DataFrame, order: list[str]) -> DataFrame:
-    """Integer names for the rows of `distinct`: range of the sort order, then place in the range.
+    """Integer names for the rows of `distinct`: the partition, then the place in its sort order.
 
-    A name is made once and written before use, so a lost executor cannot change it.
+    Distinct rows come out of an aggregation dealt by their content; they are sorted where they are, and no
+    content goes to the driver to find ranges. A name is made once and written before use, so a
+    lost executor cannot change it.
     """
-    return distinct.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("name", F.monotonically_increasing_id())
+    return distinct.sortWithinPartitions(*order).withColumn("name", F.monotonically_increasing_id())
 
 
 def _short_key(block: Column) -> Column:
