@@ -18,8 +18,9 @@ from pyspark.sql import functions as F
 from ..plans.cuts import written
 from .words import word_array
 
-KEY_BUCKETS = 65536
+KEY_BUCKETS = 4096
 MOST_EPOCHS = 3
+FEW_SOURCES = 50_000
 #: u = (first 13 hex digits of the hash + 1) / (2^52 + 2) lies strictly between 0 and 1.
 HEX_DIGITS, SPAN = 13, float(2**52 + 2)
 
@@ -112,7 +113,8 @@ def mix(docs: DataFrame, seed: int = 17, owner: str = "session") -> DataFrame:
         "mix-plan",
         owner,
     )
-    planned = keyed.join(plan, "source_key")
+    # One short row a source: broadcast if counted to be few, else a plain join, which splits hot sources.
+    planned = keyed.join(F.broadcast(plan) if plan.count() <= FEW_SOURCES else plan, "source_key")
     shown = ["doc_id", "source", "size", "source_size", "target", "epochs"]
     away = planned.where(F.col("bucket") != F.col("edge_bucket")).select(
         *shown, (F.col("epochs") * F.col("size") + F.when(F.col("bucket") < F.col("edge_bucket"), F.col("size")).otherwise(0)).alias("taken")
