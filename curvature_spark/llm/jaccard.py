@@ -5,8 +5,9 @@
    order. The order is by the corpus count of an n-gram's rarest word, rare first (counts of all words in a table of
    fixed size; a collision there only changes the order). The n-grams a set shows this way are its tiles.
 3. Tiles are banded by set size: only sizes within the bound of each other are compared.
-   First every class meets the least class of its tile; found links are contracted. Then classes of one
-   tile that are not yet connected meet each other, large tiles as a grid of blocks ordered by size.
+   First every class meets the least class of its tile; found links are contracted. Then, twice, what is still apart meets
+   one class drawn for each tile, which connects large groups by as many comparisons as they have rows.
+   Last, classes of one tile that are still apart meet each other, large tiles as a grid of blocks ordered by size.
 4. A pair must pass its 2048-bit signatures: with d differing bits the overlap is at most (|A| + |B| - d) / 2.
    What passes is decided by intersecting the two sorted hash arrays.
 5. Links are contracted to components.
@@ -33,6 +34,8 @@ SKETCH_BITS = 18
 SIGNATURE_WORDS = 32
 #: Rows of a tile that one task compares with each other.
 GRID = 1024
+#: Seeds of the turns in which each tile draws the class that the others meet.
+DRAWN_TURNS = (1, 2)
 #: Bits of the filter of documents whose sets are wanted (1 MB); fuller filters pass more, never less.
 WANTED_BITS = 23
 #: Bytes of text hashed at once; longer texts are hashed piece by piece, cut at white space.
@@ -207,10 +210,8 @@ def _possible(num: int, den: int, na: Column, nb: Column, sig_a: Column, sig_b:
     return (num * F.greatest(na, nb) <= den * F.least(na, nb)) & ((den + num) * (na + nb - d) >= 2 * num * (na + nb))
 
 
-def _verified(docs: DataFrame, pairs: DataFrame, n: int, num: int, den: int, owner: str) -> DataFrame:
+def _verified(sets: DataFrame, pairs: DataFrame, num: int, den: int, owner: str) -> DataFrame:
     """The pairs (a, b) whose sets reach the similarity, by intersecting sorted arrays."""
-    nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-    sets = _sets_of(docs, written(nodes, "jaccard-nodes", owner), n, owner)
     both = pairs.join(sets.select(F.col("node").alias("a"), F.col("set").alias("sa")), "a").join(sets.select(F.col("node").alias("b"), F.col("set").alias("sb")), "b")
 
     def work(batches):
@@ -269,17 +270,29 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
         return written(met.select("a", "b"), "jaccard-pairs", owner)
 
     first = filtered(tiles.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct())
-    links = _verified(docs, first, n, num, den, owner)
+    nodes = first.select(F.col("a").alias("node")).unionByName(first.select(F.col("b").alias("node"))).distinct()
+    links = _verified(_sets_of(docs, written(nodes, "jaccard-nodes", owner), n, owner), first, num, den, owner)
     roots = components(links, owner)
-
-    # Classes of one tile that are still apart.
-    placed = tiles.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
-    apart = placed.groupBy("tile").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("members")).where("lo < hi AND members > 2")
-    open_tiles = written(placed.drop("members", "leader").join(apart.select("tile", "members"), "tile"), "jaccard-open", owner)
-    if not open_tiles.isEmpty():
-        second = filtered(_apart_pairs(open_tiles, about, num, den, owner))
-        links = links.unionByName(_verified(docs, second, n, num, den, owner))
+    tiles, sets = tiles.drop("members", "leader"), None
+    for turn in (*DRAWN_TURNS, None):
+        # Tiles whose classes are still apart; two classes have met already.
+        placed = tiles.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
+        drawn = F.min_by("rep", F.xxhash64("rep", "tile", F.lit(turn or 0)))
+        apart = placed.groupBy("tile").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("members"), drawn.alias("leader")).where("lo < hi AND members > 2")
+        open_tiles = written(placed.join(apart.drop("lo", "hi"), "tile"), "jaccard-open", owner)
+        if open_tiles.isEmpty():
+            break
+        if sets is None:
+            sets = _sets_of(docs, written(open_tiles.select(F.col("rep").alias("node")).distinct(), "jaccard-nodes", owner), n, owner)
+        if turn is None:
+            pairs = _apart_pairs(open_tiles.drop("leader"), about, num, den)
+        else:
+            heads = open_tiles.where("rep = leader").select("tile", F.col("root").alias("leader_root"))
+            met = open_tiles.where("rep <> leader").join(heads, "tile").where("root <> leader_root")
+            pairs = met.select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
+        links = links.unionByName(_verified(sets, filtered(pairs), num, den, owner))
         roots = components(links, owner)
+        tiles = open_tiles.select("tile", "rep", "n")
 
     by_class = classes.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").select("digest", F.coalesce("root", "rep").alias("root"))
     return rows.join(by_class, "digest", "left").select(
@@ -287,7 +300,7 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     )
 
 
-def _apart_pairs(tiles: DataFrame, about: DataFrame, num: int, den: int, owner: str) -> DataFrame:
+def _apart_pairs(tiles: DataFrame, about: DataFrame, num: int, den: int) -> DataFrame:
     """Distinct pairs (a, b) of one tile with different roots whose sizes and signatures fit.
 
     A tile is cut into blocks of about GRID rows in order of set size (size bands: blocks out of reach of
