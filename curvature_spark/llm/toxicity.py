@@ -28,7 +28,8 @@ from ..plans.cuts import written
 SAMPLE = 20_000
 #: Terms of the model at most, those of largest |z|.
 TERMS = 50_000
-PRIOR = 500.0
+#: Texts the prior stands for, as a share of the training texts.
+PRIOR = 0.1
 SHRINK = 2.0
 #: Cost of a term that does not speak for toxicity.
 GAP = 0.4
@@ -172,11 +173,11 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, most_terms: in
     n0, n1 = (got.clean, got.toxic) if got else (0, 0)
     if not n0 or not n1:
         return Detector({}, 1.0, 1.0, 1.0, 30.0 if n1 else -30.0)
-    # Texts that hold the term, against texts that do not; the prior adds PRIOR texts with the pooled share.
-    share = (F.col("clean") + F.col("toxic")) / float(n0 + n1)
-    prior = PRIOR * share
-    a1, b1 = F.col("toxic") + prior, float(n1) + PRIOR - F.col("toxic") - prior + 1e-9
-    a0, b0 = F.col("clean") + prior, float(n0) + PRIOR - F.col("clean") - prior + 1e-9
+    # Texts that hold the term, against texts that do not; the prior adds texts with the pooled share.
+    share, weight = (F.col("clean") + F.col("toxic")) / float(n0 + n1), PRIOR * float(n0 + n1)
+    prior = weight * share
+    a1, b1 = F.col("toxic") + prior, float(n1) + weight - F.col("toxic") - prior + 1e-9
+    a0, b0 = F.col("clean") + prior, float(n0) + weight - F.col("clean") - prior + 1e-9
     odds = F.log(a1 / b1) - F.log(a0 / b0)
     error = F.sqrt(1 / a1 + 1 / a0)
     rated = table.where((F.length("term") > 0) & (F.col("toxic") > 0)).select("term", "uses", odds.alias("odds"), error.alias("error")).where("odds - 2 * error > 0")
