@@ -24,6 +24,8 @@ BITS_PER_KEY = 16
 MOST_FILTER_BYTES = 64 << 20
 #: Distinct lengths of listed paths that are probed one by one.
 MOST_PATH_LENGTHS = 4096
+#: Lists counted to be this short are broadcast to the exact join; longer ones are joined by key.
+FEW_RULES = 50_000
 
 
 def host_and_path(url: Column) -> tuple[Column, Column]:
@@ -101,7 +103,7 @@ def judge(pages: DataFrame, rules: DataFrame) -> DataFrame:
             yield pdf.loc[hit, ["host", "path", "keys"]]
 
     hits = keyed.withColumn("hashes", F.transform("keys", lambda k: F.xxhash64(k))).mapInPandas(possible, "host string, path string, keys array<string>")
-    exact = hits.select("host", "path", F.explode("keys").alias("rule")).join(listed, "rule")
+    exact = hits.select("host", "path", F.explode("keys").alias("rule")).join(F.broadcast(listed) if count <= FEW_RULES else listed, "rule")
     best = exact.groupBy("host", "path").agg(F.max(F.struct(F.length("rule"), "rule", "listed_verdict")).alias("best"))
     return parsed.join(best, ["host", "path"], "left").select(
         "page_id", "host", "path", F.col("best.rule").alias("rule"), F.coalesce("best.listed_verdict", F.lit("allow")).alias("verdict")
