@@ -8,7 +8,7 @@
    First every class meets the least class of its tile; found links are contracted. Then, twice, what is still apart meets
    one class drawn for each tile, which connects large groups by as many comparisons as they have rows.
    Last, classes of one tile that are still apart meet each other, large tiles as a grid of blocks ordered by size.
-4. A pair must pass its 2048-bit signatures: with d differing bits the overlap is at most (|A| + |B| - d) / 2.
+4. A pair must pass its 2048-bit signatures of odd counts: with d differing bits the overlap is at most (|A| + |B| - d) / 2.
    What passes is decided by intersecting the two sorted hash arrays.
 5. Links are contracted to components.
 
@@ -134,10 +134,14 @@ def shown(s: np.ndarray, rank: np.ndarray, num: int, den: int) -> np.ndarray:
 
 
 def signature(s: np.ndarray) -> np.ndarray:
-    """64 * SIGNATURE_WORDS bits, one set per n-gram."""
-    bits = np.zeros(SIGNATURE_WORDS * 64, dtype=np.uint8)
-    bits[((s >> U(20)) % U(SIGNATURE_WORDS * 64)).astype(np.int64)] = 1
-    return np.packbits(bits, bitorder="little").view(np.int64)
+    """64 * SIGNATURE_WORDS bits: for every cell, whether an odd number of n-grams falls into it.
+
+    What two sets share cancels in the difference of their bits, so each differing bit needs an n-gram of its own that
+    only one of them has: the number of differing bits is at most the size of the symmetric difference.
+    """
+    cells = ((s >> U(20)) % U(SIGNATURE_WORDS * 64)).astype(np.int64)
+    odd = (np.bincount(cells, minlength=SIGNATURE_WORDS * 64) & 1).astype(np.uint8)
+    return np.packbits(odd, bitorder="little").view(np.int64)
 
 
 def _raw(docs: DataFrame) -> DataFrame:
@@ -274,7 +278,9 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     links = _verified(_sets_of(docs, written(nodes, "jaccard-nodes", owner), n, owner), first, num, den, owner)
     roots = components(links, owner)
     tiles, sets = tiles.drop("members", "leader"), None
-    for turn in (*DRAWN_TURNS, None):
+    turns = [*DRAWN_TURNS, None]
+    while turns:
+        turn = turns.pop(0)
         # Tiles whose classes are still apart; two classes have met already.
         placed = tiles.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
         drawn = F.min_by("rep", F.xxhash64("rep", "tile", F.lit(turn or 0)))
@@ -290,9 +296,13 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
             heads = open_tiles.where("rep = leader").select("tile", F.col("root").alias("leader_root"))
             met = open_tiles.where("rep <> leader").join(heads, "tile").where("root <> leader_root")
             pairs = met.select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
-        links = links.unionByName(_verified(sets, filtered(pairs), num, den, owner))
-        roots = components(links, owner)
+        found = _verified(sets, filtered(pairs), num, den, owner)
         tiles = open_tiles.select("tile", "rep", "n")
+        if found.isEmpty():
+            turns = turns[-1:]  # drawn classes connect nothing more
+            continue
+        links = links.unionByName(found)
+        roots = components(links, owner)
 
     by_class = classes.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").select("digest", F.coalesce("root", "rep").alias("root"))
     return rows.join(by_class, "digest", "left").select(
