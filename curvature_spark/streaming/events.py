@@ -129,16 +129,22 @@ def stream_hsn_pp(spark, sf_dir, parts: int = 6, lam: float = 1e-3):
         batch.select("event_id", "user_id").join(samples, "event_id").select("user_id", "label", "features").write.mode("overwrite").parquet(path)
         rows = spark.read.parquet(*[f"{base}/rows-{i}" for i in sorted(model["done"] | {number})])
         active = spark.read.parquet(path).select("user_id").distinct()
-        own = rows.join(active, "user_id", "left_semi").groupBy("user_id").agg(F.collect_list(F.struct("label", "features")).alias("rows"))
-        joined = own.join(model["state"], "user_id", "left") if model["state"] is not None else own.withColumn("shift", F.lit(None).cast("array<double>")).withColumn("l", F.lit(0.0)).withColumn("q", F.lit(None).cast("array<double>"))
         x = cholesky_solve(packed.unpack(model["h"], d) + model["l"] * np.eye(d), model["g"]) if model["n"] else np.zeros(d)
 
+        def sums(batches):
+            for pdf in batches:
+                out = []
+                for user, own in pdf.groupby("user_id"):
+                    z = np.stack(own["features"].to_list()) * own["label"].to_numpy()[:, None]
+                    _, g, h = problem.sums(z, x)
+                    out.append((user, len(z), g.tolist(), h.tolist()))
+                yield pd.DataFrame(out, columns=["user_id", "n", "g", "h"])
+
         def advance(batches):
             for pdf in batches:
                 out = []
-                for user, data, shift, l, q in zip(pdf["user_id"], pdf["rows"], pdf["shift"], pdf["l"], pdf["q"], strict=True):
-                    z = np.array([np.array(r["features"]) * r["label"] for r in data])
-                    _, g, h = problem.finish(len(z), problem.sums(z, x), x)
+                for user, n, g, h, shift, l, q in zip(pdf["user_id"], pdf["n"], pdf["g"], pdf["h"], pdf["shift"], pdf["l"], pdf["q"], strict=True):
+                    _, g, h = problem.finish(n, (0.0, np.array(g), np.array(h)), x)
                     new = shift is None
                     old = h.copy() if new else np.array(shift, dtype=float)
                     moved = old + compressor(h - old, d, (0,)).dense(w)
@@ -147,8 +153,15 @@ def stream_hsn_pp(spark, sf_dir, parts: int = 6, lam: float = 1e-3):
                     out.append((user, moved.tolist(), gap, corrected.tolist(), (moved - (0 if new else old)).tolist(), gap - (0 if new else l), (corrected - (0 if new else np.array(q))).tolist(), int(new)))
                 yield pd.DataFrame(out, columns=["user_id", "shift", "l", "q", "dh", "dl", "dq", "new"])
 
+        # Rows become sums where they are read; a user with many events sends one row of sums a batch.
+        parts = rows.join(active, "user_id", "left_semi").mapInPandas(sums, "user_id long, n long, g array<double>, h array<double>")
+        total = lambda c, size: F.array(*[F.sum(F.col(c)[i]) for i in range(size)]).alias(c)
+        own = parts.groupBy("user_id").agg(F.sum("n").alias("n"), total("g", d), total("h", w).alias("h"))
+        blank = {"shift": F.lit(None).cast("array<double>"), "l": F.lit(0.0), "q": F.lit(None).cast("array<double>")}
+        joined = own.join(model["state"], "user_id", "left") if model["state"] is not None else own.withColumns(blank)
+
         schema = "user_id long, shift array<double>, l double, q array<double>, dh array<double>, dl double, dq array<double>, new int"
-        joined.select("user_id", "rows", "shift", "l", "q").mapInPandas(advance, schema).write.mode("overwrite").parquet(f"{base}/made-{number}")
+        joined.select("user_id", "n", "g", "h", "shift", "l", "q").mapInPandas(advance, schema).write.mode("overwrite").parquet(f"{base}/made-{number}")
         made = spark.read.parquet(f"{base}/made-{number}")
         state = made.select("user_id", "shift", "l", "q")
         if model["state"] is not None:
