@@ -72,6 +72,7 @@ def oracle_sql() -> dict[str, str]:
         "op1_mixing": mixing.ORACLE,
         "op2_topk": topk.ORACLE,
         "op3_jaccard_join": jaccard.ORACLE,
+        "op5_sharding": sharding.ORACLE,
         "op6_exact_dedup": naming.ORACLE,
         "op8_url_filter": urls.ORACLE,
     }

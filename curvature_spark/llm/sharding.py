@@ -114,3 +114,41 @@ def place_in_python(x: int, total: int, seed: int) -> int:
         x = left * b + right
         if x < total:
             return x
+
+
+def oracle(shards: int = 8, seed: int = 23) -> str:
+    """DuckDB SQL of the same law: its own checksum from bit operations, and the walk as a recursion."""
+    chain, left, right = ["x // b AS l0", "x % b AS r0"], "l0", "r0"
+    for n, (m, o) in enumerate(round_keys(seed)):
+        other = left if n % 2 else right
+        chain.append(f"({other} * {m} + {o}) % {PRIME} AS y{n + 1}")
+        chain.append(f"((y{n + 1} * y{n + 1}) % {PRIME}) * {m} % {PRIME} AS f{n + 1}")
+        if n % 2:
+            chain.append(f"({right} + f{n + 1}) % b AS r{n + 1}")
+            right = f"r{n + 1}"
+        else:
+            chain.append(f"({left} + f{n + 1}) % a AS l{n + 1}")
+            left = f"l{n + 1}"
+    network = ", ".join(chain) + f", {left} * b + {right} AS p"
+    return f"""
+WITH RECURSIVE bits AS (
+  SELECT list(list_reduce(range(8), lambda c, i: CASE WHEN c % 2 = 1 THEN xor(3988292384, c // 2) ELSE c // 2 END, n) ORDER BY n) AS t FROM range(256) r(n)
+), d AS (
+  SELECT doc_id, CAST(strlen(coalesce(text, '')) + 1 AS BIGINT) AS size, hex(encode(coalesce(text, ''))) AS h FROM documents
+), c AS (
+  SELECT doc_id, size, CAST(xor(4294967295, list_reduce(range(1, len(h), 2), lambda c, i: xor(c >> 8, t[1 + (xor(c, CAST('0x' || h[i:i+1] AS BIGINT)) & 255)]), 4294967295)) AS BIGINT) AS text_crc32 FROM d, bits
+), n AS (
+  SELECT *, CAST(row_number() OVER (ORDER BY doc_id NULLS FIRST, text_crc32, size) - 1 AS BIGINT) AS row_no FROM c
+), s AS (
+  SELECT total, a, (total + a - 1) // a AS b FROM (SELECT count(*) AS total, CAST(floor(sqrt(greatest(count(*) - 1, 0))) AS BIGINT) + 1 AS a FROM documents)
+), w(row_no, p, total) AS (
+  SELECT row_no, p, total FROM (SELECT row_no, row_no AS x, total, a, b, {network} FROM n, s)
+  UNION ALL
+  SELECT row_no, p, total FROM (SELECT w.row_no, w.p AS x, s.total, a, b, {network.replace(" AS p", " AS q")} FROM w, s WHERE w.p >= s.total) t(row_no, x, total, a, b, {", ".join(c.rsplit(" AS ", 1)[1] for c in chain)}, p)
+)
+SELECT n.doc_id, n.size, n.text_crc32, n.row_no, 'rows' AS law, CAST(w.p % {shards} AS INTEGER) AS shard, CAST(w.p // {shards} AS BIGINT) AS slot, CAST(NULL AS INTEGER) AS grown_shard
+FROM n JOIN w ON n.row_no = w.row_no AND w.p < w.total
+"""
+
+
+ORACLE = oracle()
