@@ -21,7 +21,6 @@ from __future__ import annotations
 import hashlib
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -144,6 +143,13 @@ def signature(s: np.ndarray) -> np.ndarray:
     return np.packbits(odd, bitorder="little").view(np.int64)
 
 
+def _slices(batches, rows: int = 1000):
+    """Arrow batches in slices: what Python holds of the texts at once stays small."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def _raw(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("raw"))
 
@@ -155,7 +161,7 @@ def _base(docs: DataFrame, n: int, owner: str) -> DataFrame:
 
     def work(batches):
         counts = np.zeros(1 << SKETCH_BITS, dtype=np.int64)
-        for batch in batches:
+        for batch in _slices(batches):
             size, digest = [], []
             for raw in batch.column("raw").to_pylist():
                 h = word_hashes(raw) if raw else ()
@@ -196,7 +202,7 @@ def _sets_of(docs: DataFrame, nodes: DataFrame, n: int, owner: str) -> DataFrame
 
     def work(batches):
         table = sent.value
-        for batch in batches:
+        for batch in _slices(batches):
             bit = batch.column("bit").to_numpy()
             part = batch.filter(pa.array((table[bit >> 6] >> (bit & 63).astype(U)) & U(1) == 1))
             sets = [shingles(raw, n).tobytes() for raw in part.column("raw").to_pylist()]
@@ -219,15 +225,15 @@ def _verified(sets: DataFrame, pairs: DataFrame, num: int, den: int, owner: str)
     both = pairs.join(sets.select(F.col("node").alias("a"), F.col("set").alias("sa")), "a").join(sets.select(F.col("node").alias("b"), F.col("set").alias("sb")), "b")
 
     def work(batches):
-        for pdf in batches:
+        for batch in _slices(batches, 500):
             ok = []
-            for sa, sb in zip(pdf["sa"], pdf["sb"], strict=True):
-                x, y = np.frombuffer(sa, dtype=U), np.frombuffer(sb, dtype=U)
+            for sa, sb in zip(batch.column("sa"), batch.column("sb"), strict=True):
+                x, y = np.frombuffer(sa.as_buffer(), dtype=U), np.frombuffer(sb.as_buffer(), dtype=U)
                 overlap = len(np.intersect1d(x, y, assume_unique=True))
                 ok.append(den * overlap >= num * (len(x) + len(y) - overlap))
-            yield pdf.loc[np.array(ok, dtype=bool), ["a", "b"]]
+            yield batch.select(["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
-    return written(both.select("a", "b", "sa", "sb").mapInPandas(work, "a long, b long"), "jaccard-links", owner)
+    return written(both.select("a", "b", "sa", "sb").mapInArrow(work, "a long, b long"), "jaccard-links", owner)
 
 
 def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owner: str = "session") -> DataFrame:
@@ -245,7 +251,7 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     ranks = docs.sparkSession.sparkContext.broadcast(_sketch_ranks(base))
 
     def show(batches):
-        for batch in batches:
+        for batch in _slices(batches):
             size, first, bits, digest = [], [], [], []
             for raw in batch.column("raw").to_pylist():
                 s, rank = ranked_shingles(raw or b"", n, ranks.value)
