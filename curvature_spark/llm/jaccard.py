@@ -220,8 +220,10 @@ def _possible(num: int, den: int, na: Column, nb: Column, sig_a: Column, sig_b:
     return (num * F.greatest(na, nb) <= den * F.least(na, nb)) & ((den + num) * (na + nb - d) >= 2 * num * (na + nb))
 
 
-def _verified(sets: DataFrame, pairs: DataFrame, num: int, den: int, owner: str) -> DataFrame:
-    """The pairs (a, b) whose sets reach the similarity, by intersecting sorted arrays."""
+def _verified(docs: DataFrame, pairs: DataFrame, n: int, num: int, den: int, owner: str) -> DataFrame:
+    """The pairs (a, b) whose sets reach the similarity, by intersecting sorted arrays; only sets of pairs are made."""
+    nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
+    sets = _sets_of(docs, written(nodes, "jaccard-nodes", owner), n, owner)
     both = pairs.join(sets.select(F.col("node").alias("a"), F.col("set").alias("sa")), "a").join(sets.select(F.col("node").alias("b"), F.col("set").alias("sb")), "b")
 
     def work(batches):
@@ -280,10 +282,9 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
         return written(met.select("a", "b"), "jaccard-pairs", owner)
 
     first = filtered(tiles.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct())
-    nodes = first.select(F.col("a").alias("node")).unionByName(first.select(F.col("b").alias("node"))).distinct()
-    links = _verified(_sets_of(docs, written(nodes, "jaccard-nodes", owner), n, owner), first, num, den, owner)
+    links = _verified(docs, first, n, num, den, owner)
     roots = components(links, owner)
-    tiles, sets = tiles.drop("members", "leader"), None
+    tiles = tiles.drop("members", "leader")
     turns = [*DRAWN_TURNS, None]
     while turns:
         turn = turns.pop(0)
@@ -294,15 +295,13 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
         open_tiles = written(placed.join(apart.drop("lo", "hi"), "tile"), "jaccard-open", owner)
         if open_tiles.isEmpty():
             break
-        if sets is None:
-            sets = _sets_of(docs, written(open_tiles.select(F.col("rep").alias("node")).distinct(), "jaccard-nodes", owner), n, owner)
         if turn is None:
             pairs = _apart_pairs(open_tiles.drop("leader"), about, num, den)
         else:
             heads = open_tiles.where("rep = leader").select("tile", F.col("root").alias("leader_root"))
             met = open_tiles.where("rep <> leader").join(heads, "tile").where("root <> leader_root")
             pairs = met.select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
-        found = _verified(sets, filtered(pairs), num, den, owner)
+        found = _verified(docs, filtered(pairs), n, num, den, owner)
         tiles = open_tiles.select("tile", "rep", "n")
         if found.isEmpty():
             turns = turns[-1:]  # drawn classes connect nothing more
