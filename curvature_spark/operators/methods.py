@@ -54,7 +54,7 @@ def backtrack(engine: Engine, x: np.ndarray, p: np.ndarray, f: float, slope: flo
 
     Near the optimum f stops moving at rounding: a full step whose promised decrease is below that is taken.
     """
-    if abs(c * slope) < 1e-15 * max(1.0, abs(f)):
+    if abs(c * slope) < 1e-13 * max(1.0, abs(f)):
         return 0
     steps = shrink ** np.arange(STEP_LIMIT + 1)
     values = engine.values(x + steps[:, None] * p)
