@@ -258,13 +258,14 @@ def score(docs: DataFrame, states: int = STATES, rounds: int = ROUNDS, seed: int
     sc = docs.sparkSession.sparkContext
     raw = docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("binary").alias("raw"))
     counts = _word_counts(raw.where(~F.col("held_out")), owner)
-    n_tokens, n_types = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
+    texts_ended = F.sum(F.when(F.length("word") == 0, F.col("c")))
+    n_tokens, n_types, ends = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1)), F.coalesce(texts_ended, F.lit(0))).first()
     class_column = F.crc32("word").bitwiseAND(F.lit(CLASSES - 1)).cast("int")
     class_tokens, class_types = np.zeros(CLASSES + 1), np.zeros(CLASSES + 1)
     for k, c, v in counts.where(F.length("word") > 0).groupBy(class_column.alias("k")).agg(F.sum("c"), F.count(F.lit(1))).collect():
         class_tokens[k], class_types[k] = c, v
-    head = _frequent(counts)
-    ends = head.setdefault(b"", 0)
+    # The end of a text is resolved from the head alone, however rare it is among the words.
+    head = _frequent(counts) | {b"": ends}
     sent = sc.broadcast((head, n_tokens, n_types, class_tokens, class_types))
 
     def encode(batches):

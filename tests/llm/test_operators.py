@@ -380,6 +380,22 @@ def test_language_model_query(spark, docs, small, monkeypatch):
     assert all(r.score < 0 for r in rows)
 
 
+@pytest.mark.parametrize("head", [1, 4, 100])
+def test_ends_of_few_long_texts_are_counted(spark, monkeypatch, head):
+    """Words more frequent than texts: the end of a text is then in no bin that is broadcast."""
+    monkeypatch.setattr(hmm, "HEAD", head)
+    texts = [(0, "a b c " * 40 + "once"), (1, "a b c d " * 30), (2, "b a"), (4, "unseen a")]
+    held = {i: zlib.crc32(str(i).encode()) % 7 == 2 for i, _ in texts}
+    counts = Counter(w for i, t in texts if not held[i] for w in [*words(t), None])
+    total, types = sum(counts.values()), len(counts)
+    rows = {r.doc_id: r for r in hmm.score(spark.createDataFrame(texts, "doc_id long, text string"), rounds=1).collect()}
+    assert 0 < counts[None] < counts[b"a"]
+    for i, t in texts:
+        seq = [*words(t), None]
+        assert rows[i].n_known == sum(counts[w] > 0 for w in seq)
+        assert rows[i].base_score == pytest.approx(sum(math.log10((counts[w] + 1) / (total + types + 1)) for w in seq))
+
+
 def test_language_model_beats_its_base_on_held_out_texts(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = hmm.score(docs).where("held_out").agg(F.sum("score"), F.sum("base_score")).first()
