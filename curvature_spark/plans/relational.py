@@ -302,7 +302,7 @@ def udaf_vector_mean(spark, sf):
     return parts.groupBy("event_type").agg(F.round(F.sum("s") / F.sum("n"), 6).alias("mean"))
 
 
-@entry("SELECT CAST(vec_id AS BIGINT) AS vec_id, CAST(i AS INTEGER) AS pos, round(v, 6) AS v FROM (SELECT vec_id, unnest(range(64)) AS i, CAST(unnest(embedding) AS DOUBLE) AS v FROM embeddings WHERE label = 3) WHERE v > 0")
+@entry("SELECT CAST(vec_id AS BIGINT) AS vec_id, CAST(i AS INTEGER) AS pos, round(v, 6) AS v FROM (SELECT vec_id, unnest(range(64)) AS i, CAST(unnest(embedding) AS DOUBLE) AS v FROM embeddings) WHERE v > 0")
 def udtf_sparse_to_rows(spark, sf):
     """A table function that turns a vector into rows of its positive entries."""
     from pyspark.sql.functions import udtf
@@ -315,7 +315,7 @@ def udtf_sparse_to_rows(spark, sf):
                     yield vec_id, i, v
 
     spark.udtf.register("hs_cells", Cells)
-    load(spark, sf, "embeddings").where("label = 3").createOrReplaceTempView("hs_vectors")
+    load(spark, sf, "embeddings").createOrReplaceTempView("hs_vectors")
     rows = spark.sql("SELECT c.* FROM hs_vectors, LATERAL hs_cells(vec_id, transform(embedding, x -> CAST(x AS DOUBLE))) c")
     return rows.select("vec_id", "pos", F.round("v", 6).alias("v"))
 
@@ -358,11 +358,11 @@ def register_functions(spark: SparkSession) -> None:
     spark.udf.register("hs_pack", lambda v: packed.pack(np.outer(v, v)).tolist(), "array<double>")
 
 
-@entry("SELECT vec_id, CAST(4 AS BIGINT) AS kept FROM embeddings WHERE vec_id < 50")
+@entry("SELECT vec_id, CAST(4 AS BIGINT) AS kept FROM embeddings")
 def sql_functions(spark, sf):
     register_functions(spark)
     load(spark, sf, "embeddings").createOrReplaceTempView("hs_embeddings")
-    return spark.sql("SELECT vec_id, CAST(size(filter(hs_topk(transform(embedding, x -> CAST(x AS DOUBLE)), 4, 1), x -> x <> 0)) AS BIGINT) AS kept FROM hs_embeddings WHERE vec_id < 50")
+    return spark.sql("SELECT vec_id, CAST(size(filter(hs_topk(transform(embedding, x -> CAST(x AS DOUBLE)), 4, 1), x -> x <> 0)) AS BIGINT) AS kept FROM hs_embeddings")
 
 
 @entry(None)
