@@ -44,32 +44,26 @@ def filter_predicates(spark, sf):
 
 
 # -- joins -------------------------------------------------------------------------------------------------
-def _orders(spark, sf):
-    return load(spark, sf, "orders").select("o_orderkey", "o_custkey", "o_totalprice")
-
-
-def _customers(spark, sf):
-    return load(spark, sf, "customer").select("c_custkey", "c_nationkey").where("c_custkey % 3 <> 0")
-
-
 def _join(kind: str, hint: str | None = None):
+    """Whole orders with whole customers; but for inner joins, only finished orders have a partner."""
+
     def query(spark, sf):
-        right = _customers(spark, sf)
-        out = _orders(spark, sf).join(right.hint(hint) if hint else right, F.col("o_custkey") == F.col("c_custkey"), kind)
+        left = load(spark, sf, "orders").select("o_orderkey", "o_custkey", "o_orderstatus")
+        right = load(spark, sf, "customer").select("c_custkey", "c_nationkey")
+        on = F.col("o_custkey") == F.col("c_custkey")
+        out = left.join(right.hint(hint) if hint else right, on if kind == "inner" else on & (F.col("o_orderstatus") == "F"), kind)
         return out.select("o_orderkey", "c_custkey") if kind not in ("left_semi", "left_anti") else out.select("o_orderkey")
 
     return query
 
 
-_C = "(SELECT c_custkey, c_nationkey FROM customer WHERE c_custkey % 3 <> 0)"
-for _name, _kind, _sql in (
-    ("join_inner", "inner", "JOIN"), ("join_left", "left", "LEFT JOIN"), ("join_right", "right", "RIGHT JOIN"), ("join_full", "full", "FULL JOIN"),
-):
-    FOUND[_name] = _join(_kind), f"SELECT o_orderkey, c_custkey FROM orders {_sql} {_C} c ON o_custkey = c_custkey"
-for _name, _hint in (("join_broadcast", "broadcast"), ("join_sortmerge", "merge"), ("join_shuffle_hash", "shuffle_hash")):
-    FOUND[_name] = _join("inner", _hint), f"SELECT o_orderkey, c_custkey FROM orders JOIN {_C} c ON o_custkey = c_custkey"
-FOUND["join_semi"] = _join("left_semi"), f"SELECT o_orderkey FROM orders WHERE o_custkey IN (SELECT c_custkey FROM {_C})"
-FOUND["join_anti"] = _join("left_anti"), f"SELECT o_orderkey FROM orders WHERE o_custkey NOT IN (SELECT c_custkey FROM {_C})"
+_ON = "o_custkey = c_custkey AND o_orderstatus = 'F'"
+for _name, _kind, _sql in (("join_left", "left", "LEFT JOIN"), ("join_right", "right", "RIGHT JOIN"), ("join_full", "full", "FULL JOIN")):
+    FOUND[_name] = _join(_kind), f"SELECT o_orderkey, c_custkey FROM orders {_sql} customer ON {_ON}"
+for _name, _hint in (("join_inner", None), ("join_broadcast", "broadcast"), ("join_sortmerge", "merge"), ("join_shuffle_hash", "shuffle_hash")):
+    FOUND[_name] = _join("inner", _hint), "SELECT o_orderkey, c_custkey FROM orders JOIN customer ON o_custkey = c_custkey"
+FOUND["join_semi"] = _join("left_semi"), f"SELECT o_orderkey FROM orders WHERE EXISTS (SELECT 1 FROM customer WHERE {_ON})"
+FOUND["join_anti"] = _join("left_anti"), f"SELECT o_orderkey FROM orders WHERE NOT EXISTS (SELECT 1 FROM customer WHERE {_ON})"
 
 
 @entry("SELECT n_name, r_name FROM nation, region")

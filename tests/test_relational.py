@@ -9,3 +9,11 @@ import __spark_entry__ as entry
 def test_every_vector_is_in_the_answer(spark, small, name):
     want = spark.read.parquet(f"{small}/embeddings.parquet").select("vec_id").distinct().count()
     assert entry.queries()[name](spark, small).select("vec_id").distinct().count() == want
+
+
+def test_joins_take_every_customer_and_order(spark, small):
+    orders, customers = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("orders", "customer"))
+    assert entry.queries()["join_inner"](spark, small).count() == orders.count()
+    rows = entry.queries()["join_full"](spark, small)
+    assert rows.select("c_custkey").na.drop().distinct().count() == customers.count()
+    assert entry.queries()["join_anti"](spark, small).count() == orders.where("o_orderstatus <> 'F'").count() > 0
