@@ -12,9 +12,10 @@ from .compressors import Compressor, TopK
 from .partition import Clients
 from .problems import LogisticProblem, Problem
 from .rounds import RoundLog, _doubles, global_gradient, global_oracles, global_values, hessian_product, now
+from .server import backtrack
 
 
-def numpy_reference(blocks: dict[int, np.ndarray], problem: Problem, compressor: Compressor, *, option: str = "project", rounds: int = 50, tol: float = 1e-9, seed: int = 7, init: str = "hessian", alpha="default") -> tuple[np.ndarray, RoundLog]:
+def numpy_reference(blocks: dict[int, np.ndarray], problem: Problem, compressor: Compressor, *, option: str = "project", rounds: int = 50, tol: float = 1e-9, seed: int = 7, init: str = "hessian", alpha="default", line_search: tuple[float, float] | None = None) -> tuple[np.ndarray, RoundLog]:
     """The base method in one process with dense matrices: the prototype's way, and the engine's brute-force check."""
     ids = sorted(blocks)
     d = blocks[ids[0]].shape[1]
@@ -37,25 +38,39 @@ def numpy_reference(blocks: dict[int, np.ndarray], problem: Problem, compressor:
         n = len(ids)
         f, g, s, l = f / n, g / n, s / n, l / n
         norm = float(np.linalg.norm(g))
-        log.add(run_id="numpy", round=k, f=f, grad_norm=norm, l=l, items=items, bytes=0, step_s=0, seconds=now() - tick)
+        p, halvings = server.newton_direction(h, l, g, option, getattr(problem, "lam", 0.0), "gauss"), 0
+        if line_search and norm >= tol:
+            value = lambda at: float(np.mean([problem.finish_values(len(blocks[c]), problem.values(blocks[c], at[None]), at[None])[0] for c in ids]))
+            halvings = backtrack(lambda points: np.array([value(at) for at in points]), x, p, f, float(g @ p), *line_search)
+            p = line_search[1] ** halvings * p
+        log.add(run_id="numpy", round=k, f=f, grad_norm=norm, l=l, items=items, bytes=0, step_s=halvings, seconds=now() - tick)
         if norm < tol:
             break
-        x = x + server.newton_direction(h, l, g, option, getattr(problem, "lam", 0.0), "gauss")
+        x = x + p
         h = h + rate * s
     return x, log
 
 
-def mllib_logistic(samples: DataFrame, lam: float, tol: float = 1e-12, most: int = 200) -> tuple[np.ndarray, float]:
-    """Spark MLlib's L-BFGS on the same objective.
+def mllib_logistic(samples: DataFrame, lam: float, tol: float = 1e-12, most: int = 200, d: int | None = None) -> tuple[np.ndarray, float]:
+    """Spark MLlib's L-BFGS on the mean loss over all rows; binary samples (`hot`, needs d) go in as sparse vectors.
 
     Without an intercept of its own MLlib forces the weight of a constant column to 0, so the signs of half of
     the rows are flipped, (a, b) and (-a, -b) having the same loss: then no column is constant.
     """
     from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import CountVectorizerModel, Interaction
     from pyspark.ml.functions import array_to_vector
 
     sign = F.when(F.pmod(F.xxhash64("sample_key"), F.lit(2)) == 0, 1.0).otherwise(-1.0)
-    rows = samples.select(array_to_vector(F.transform("features", lambda v: v * sign)).alias("features"), ((F.col("label") * sign + 1) / 2).alias("label")).persist()
+    rows = samples.withColumn("_sign", sign).withColumn("_label", (F.col("label") * F.col("_sign") + 1) / 2)
+    if "hot" in samples.columns:
+        places = rows.select("_sign", "_label", F.col("hot").cast("array<string>").alias("_places"))
+        ones = CountVectorizerModel.from_vocabulary([str(i) for i in range(d)], "_places", "_ones")
+        rows = Interaction(inputCols=["_sign", "_ones"], outputCol="features").transform(ones.transform(places))
+    else:
+        rows = rows.withColumn("features", array_to_vector(F.transform("features", lambda v: v * F.col("_sign"))))
+    rows = rows.select("features", F.col("_label").alias("label")).persist()
+    rows.count()
     began = now()
     model = LogisticRegression(regParam=lam, elasticNetParam=0.0, standardization=False, fitIntercept=False, tol=tol, maxIter=most).fit(rows)
     seconds = now() - began

@@ -1,13 +1,19 @@
 """Training samples from the given tables: sample_key, label (+1 or -1), features (last one the constant 1).
 
+Binary workloads carry `hot` instead of `features`: the positions of the ones, the constant's among them. Such
+rows stay short through every shuffle; the block packer scatters them, and `expanded` gives the long form.
+
 Vocabularies of one-hot attributes are fixed, so the dimension is known from the specification and no pass
 over the data finds it. Every builder selects its columns first, which prunes the scan.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, StructField, StructType
 
 from ..functions.prng import draw_column
 from ..functions.vectors import norm
@@ -63,10 +69,8 @@ def sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
     tokens = F.array_distinct(F.split(F.lower(F.coalesce("text", F.lit(""))), r"\s+"))
     rows = load(spark, sf_dir, "documents").select("doc_id", "lang", "source", F.filter(tokens, lambda t: t != "").alias("tokens"))
     bucket = lambda t: F.conv(F.substring(F.md5(t), 1, 8), 16, 10).cast("long") % BUCKETS
-    present = F.array_distinct(F.transform("tokens", bucket))
-    rows = rows.withColumn("present", present)
-    features = F.concat(F.transform(F.sequence(F.lit(0), F.lit(BUCKETS - 1)), lambda b: F.array_contains("present", b.cast("long")).cast("double")), F.array(F.lit(1.0)))
-    return rows.select(F.col("doc_id").cast("string").alias("sample_key"), "source", sign(F.col("lang") == "en").alias("label"), features.alias("features"), "present")
+    present = F.array_distinct(F.transform("tokens", bucket)).cast("array<int>")
+    return rows.select(F.col("doc_id").cast("string").alias("sample_key"), "source", sign(F.col("lang") == "en").alias("label"), F.array_append(present, F.lit(BUCKETS)).alias("hot"))
 
 
 def star(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -119,9 +123,34 @@ def onehot(spark: SparkSession, sf_dir: str) -> DataFrame:
     for value, n in parts:
         positions.append(value + total)
         total += n
-    rows = star(spark, sf_dir).select(line_key().alias("sample_key"), "l_suppkey", sign(F.col("l_returnflag") == "R").alias("label"), F.array(*[p.cast("int") for p in positions]).alias("hot"))
-    features = F.concat(F.transform(F.sequence(F.lit(0), F.lit(total - 1)), lambda i: F.array_contains("hot", i).cast("double")), F.array(F.lit(1.0)))
-    return rows.select("sample_key", "l_suppkey", "label", features.alias("features"), "hot")
+    positions.append(F.lit(total))
+    return star(spark, sf_dir).select(line_key().alias("sample_key"), "l_suppkey", sign(F.col("l_returnflag") == "R").alias("label"), F.array(*[p.cast("int") for p in positions]).alias("hot"))
+
+
+def scattered(hot: pa.Array, d: int) -> np.ndarray:
+    """Rows of zeros with ones at the positions of a list column; a missing position or list sets none."""
+    z = np.zeros((len(hot), d))
+    lengths = np.nan_to_num(hot.value_lengths().to_numpy(zero_copy_only=False)).astype(np.int64)
+    at = hot.flatten().to_numpy(zero_copy_only=False)
+    rows = np.repeat(np.arange(len(hot)), lengths)
+    known = ~np.isnan(at) if at.dtype.kind == "f" else slice(None)
+    z[rows[known], at[known].astype(np.int64)] = 1.0
+    return z
+
+
+def expanded(samples: DataFrame, d: int) -> DataFrame:
+    """samples with `features` in place of `hot`."""
+    if "features" in samples.columns:
+        return samples
+    kept = [f for f in samples.schema.fields if f.name != "hot"]
+
+    def expand(batches):
+        for batch in batches:
+            z = scattered(batch.column("hot"), d)
+            long = pa.ListArray.from_arrays(np.arange(0, z.size + 1, d, dtype=np.int32), z.ravel())
+            yield pa.RecordBatch.from_arrays([*[batch.column(f.name) for f in kept], long], [*[f.name for f in kept], "features"])
+
+    return samples.mapInArrow(expand, StructType([*kept, StructField("features", ArrayType(DoubleType()))]))
 
 
 BUILDERS = {"tiny": tiny, "users": users, "dense": dense, "onehot": onehot, "sparse": sparse, "quad": quad}
@@ -142,7 +171,7 @@ def absorb_label(samples: DataFrame) -> DataFrame:
 
 
 def statistics(samples: DataFrame) -> DataFrame:
-    """rows, positives, dimension, share of non-zeros, mean and variance of all feature values."""
+    """rows, positives, dimension, share of non-zeros, mean and variance of all feature values (`features`; see `expanded`)."""
     non_zero = F.size(F.filter("features", lambda v: v != 0))
     total = F.aggregate("features", F.lit(0.0), lambda s, v: s + v)
     squares = F.aggregate("features", F.lit(0.0), lambda s, v: s + v * v)

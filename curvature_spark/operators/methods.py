@@ -20,8 +20,6 @@ from .partition import Clients
 from .problems import Problem
 from .rounds import Engine, Means, RoundLog, global_gradient, now
 
-STEP_LIMIT = 30
-
 
 @dataclass
 class Fit:
@@ -49,21 +47,6 @@ def message_bytes(d: int, payload: int, clients: int) -> int:
     return clients * (8 * d + 16) + payload
 
 
-def backtrack(engine: Engine, x: np.ndarray, p: np.ndarray, f: float, slope: float, c: float, shrink: float) -> int:
-    """Smallest s with f(x + shrink^s p) <= f + c shrink^s slope; all trial steps come from one pass.
-
-    Near the optimum f stops moving at rounding: a full step whose promised decrease is below that is taken.
-    """
-    if abs(c * slope) < 1e-13 * max(1.0, abs(f)):
-        return 0
-    steps = shrink ** np.arange(STEP_LIMIT + 1)
-    values = engine.values(x + steps[:, None] * p)
-    good = np.nonzero(values <= f + c * steps * slope)[0]
-    if not len(good):
-        raise RuntimeError("no step along the search direction decreases the objective")
-    return int(good[0])
-
-
 def train_shifts(
     clients: Clients,
     problem: Problem,
@@ -114,7 +97,7 @@ def train_shifts(
             else:
                 p = server.newton_direction(h, m.l, m.g, option, mu, solver)
             if line_search:
-                row["step_s"] = backtrack(engine, x, p, m.f, float(m.g @ p), *line_search)
+                row["step_s"] = server.backtrack(engine.values, x, p, m.f, float(m.g @ p), *line_search)
                 p = line_search[1] ** row["step_s"] * p
             x = x + p
             h = h + rate * m.s

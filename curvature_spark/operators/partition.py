@@ -4,27 +4,37 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark import StorageLevel, TaskContext
+from pyspark import Broadcast, StorageLevel, TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.prng import draw_column
+from ..functions.prng import SPAN, draw_column
+from .features import scattered
 
 BLOCK_ROWS = 4096
+#: Equal ranges of the draw in which split_equal ranks rows.
+SLICES = 4096
 BLOCK_SCHEMA = "client_id long, block_id long, n_rows int, z binary"
 
 
 def split_equal(samples: DataFrame, clients: int, seed: int = 7) -> DataFrame:
     """Shuffled equal split: floor(N / clients) rows each, the remainder dropped.
 
-    Ranks all rows by a portable draw, which is one sorted partition: for tables of oracle size. Use
-    split_hashed for large ones.
+    A row's place is its rank by a portable draw. Ranks are counted within SLICES equal ranges of the draw, and
+    each slice begins where the rows of those before it end, so no task sorts more than a slice.
     """
-    total = samples.count()
+    drawn = samples.withColumn("_draw", draw_column(seed, F.col("sample_key")))
+    drawn = drawn.withColumn("_slice", F.floor(F.col("_draw") / (SPAN // SLICES)).cast("int"))
+    begins, total = [], 0
+    for r in drawn.groupBy("_slice").count().orderBy("_slice").collect():  # SLICES rows at most
+        begins.append((r["_slice"], total))
+        total += r["count"]
     per = total // clients
-    order = Window.orderBy(draw_column(seed, F.col("sample_key")), "sample_key")
-    ranked = samples.withColumn("_n", F.row_number().over(order) - 1)
-    return ranked.where(F.col("_n") < per * clients).withColumn("client_id", F.floor(F.col("_n") / max(1, per)).cast("long")).drop("_n")
+    starts = samples.sparkSession.createDataFrame(begins, "_slice int, _begin long")
+    rank = F.row_number().over(Window.partitionBy("_slice").orderBy("_draw", "sample_key")) - 1
+    ranked = drawn.withColumn("_rank", rank).join(F.broadcast(starts), "_slice").withColumn("_n", F.col("_begin") + F.col("_rank"))
+    dealt = ranked.where(F.col("_n") < per * clients).withColumn("client_id", F.floor(F.col("_n") / max(1, per)).cast("long"))
+    return dealt.drop("_n", "_begin", "_rank", "_draw", "_slice")
 
 
 def split_hashed(samples: DataFrame, clients: int, seed: int = 7) -> DataFrame:
@@ -41,11 +51,13 @@ class Clients:
     """Pinned blocks of all clients: the table, the dimension, and what each client weighs.
 
     `weights` maps client to (rows, weight): 'equal' makes the objective the plain mean of the clients'
-    functions, 'pooled' weighs them by rows, which is the mean over all rows.
+    functions, 'pooled' weighs them by rows, which is the mean over all rows. `together` says that the table is
+    clustered and sorted by client. The driver holds two numbers a client, never rows or matrices of clients.
     """
 
-    def __init__(self, blocks: DataFrame, d: int, rows: dict[int, int], weights: str = "equal"):
-        self.blocks, self.d, self.rows = blocks, d, rows
+    def __init__(self, blocks: DataFrame, d: int, rows: dict[int, int], weights: str = "equal", together: bool = False):
+        self.blocks, self.d, self.rows, self.together = blocks, d, rows, together
+        self._facts: Broadcast | None = None
         self.ids = sorted(rows)
         total = sum(rows.values())
         self.weight = {c: 1.0 / len(rows) if weights == "equal" else n / total for c, n in rows.items()}
@@ -54,8 +66,17 @@ class Clients:
     def n(self) -> int:
         return len(self.ids)
 
+    def facts(self) -> Broadcast:
+        """Rows and weight of every client, sent to the executors once."""
+        if self._facts is None:
+            self._facts = self.blocks.sparkSession.sparkContext.broadcast({c: (self.rows[c], self.weight[c]) for c in self.ids})
+        return self._facts
+
     def release(self) -> None:
         self.blocks.unpersist()
+        if self._facts is not None:
+            self._facts.unpersist()
+            self._facts = None
 
 
 def pack_blocks(samples: DataFrame, d: int, rows_per_block: int = BLOCK_ROWS, salts: int = 1, label: str | None = "label") -> DataFrame:
@@ -65,8 +86,9 @@ def pack_blocks(samples: DataFrame, d: int, rows_per_block: int = BLOCK_ROWS, sa
     size; salts > 1 spreads a client that holds a large share of all rows over several tasks.
     """
     salt = F.pmod(F.xxhash64("sample_key"), F.lit(salts))
-    columns = ["client_id", "features"] + ([label] if label else [])
-    dealt = samples.withColumn("_salt", salt).repartition("client_id", "_salt").sortWithinPartitions("client_id", "_salt", "sample_key").select(*columns)
+    given = "hot" if "hot" in samples.columns else "features"
+    columns = ["client_id", given] + ([label] if label else [])
+    dealt = samples.select("sample_key", *columns).withColumn("_salt", salt).repartition("client_id", "_salt").sortWithinPartitions("client_id", "_salt", "sample_key").select(*columns)
 
     def pack(batches):
         base, made = TaskContext.get().partitionId() << 32, 0
@@ -82,7 +104,7 @@ def pack_blocks(samples: DataFrame, d: int, rows_per_block: int = BLOCK_ROWS, sa
 
         for batch in batches:
             ids = batch.column("client_id").to_numpy(zero_copy_only=False)
-            z = batch.column("features").flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+            z = scattered(batch.column(given), d) if given == "hot" else batch.column(given).flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
             if label:
                 z = z * batch.column(label).to_numpy(zero_copy_only=False)[:, None]
             edges = np.concatenate([[0], np.nonzero(np.diff(ids))[0] + 1, [len(ids)]])
@@ -105,10 +127,18 @@ def pack_blocks(samples: DataFrame, d: int, rows_per_block: int = BLOCK_ROWS, sa
 
 
 def pin(samples: DataFrame, d: int, weights: str = "equal", rows_per_block: int = BLOCK_ROWS, salts: int = 1, label: str | None = "label") -> Clients:
-    """Pack and keep the blocks near the executors (memory, then disk; rebuilt from the samples if lost)."""
-    blocks = pack_blocks(samples, d, rows_per_block, salts, label).persist(StorageLevel.MEMORY_AND_DISK)
+    """Pack and keep the blocks near the executors (memory, then disk; rebuilt from the samples if lost).
+
+    Without salts the packed blocks are clustered by client once more, in a way that later plans know of: rounds then join
+    shifts to them without moving a block.
+    """
+    blocks, together = pack_blocks(samples, d, rows_per_block, salts, label), salts == 1
+    if together:
+        parts = int(samples.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        blocks = blocks.repartition(parts, "client_id").sortWithinPartitions("client_id", "block_id")
+    blocks = blocks.persist(StorageLevel.MEMORY_AND_DISK)
     rows = {r.client_id: r.n for r in blocks.groupBy("client_id").agg(F.sum("n_rows").alias("n")).collect()}  # one row a client
-    return Clients(blocks, d - (0 if label else 1), rows, weights)
+    return Clients(blocks, d - (0 if label else 1), rows, weights, together)
 
 
 def write_split(samples: DataFrame, path: str) -> None:

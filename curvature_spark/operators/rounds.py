@@ -1,23 +1,26 @@
 """One round as a Spark job: oracles at the iterate, compressed differences, new shifts, and their means.
 
-    blocks --mapInArrow: sums of (value, gradient, Hessian triangle) per client and task--+
-    shifts of the last round ------------------------------------------------------------+--> by client:
-        difference to the shift, error norm, message, new shift --> partial sums per task --> driver
-
-The sums of a client's blocks meet after they are sums, so a client spread over many tasks sends one
-triangle a task, and no group holds raw rows. Shifts are a distributed table: kept for the next round, and
-written to shared storage every `commit_every` rounds, which bounds what a lost executor costs.
+    pinned blocks, clustered and sorted by client --+-- joined by client --> one Arrow pass:
+    shifts of the last round, one row a client -----+      sums of a client's blocks, difference to its shift,
+                                                           error norm, message, new shift; one row of means a task
+
+Blocks never move after they are pinned; a round shuffles the shifts, one triangle a client. A client whose blocks are
+spread by salts meets as sums: one triangle a client and task is shuffled instead of its blocks. The shifts are a distributed
+table: kept for the next round, and written to shared storage every `commit_every` rounds, which bounds what a lost
+executor costs.
 """
 
 from __future__ import annotations
 
 import time
+from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark import StorageLevel, TaskContext
-from pyspark.sql import DataFrame
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import packed
@@ -26,22 +29,47 @@ from .compressors import Compressor, WindowK
 from .partition import Clients
 from .problems import Problem
 
-ROW = "client_id long, kind int, part long, n double, f double, l double, g binary, h binary, idx binary, val binary, payload long"
-NAMES = [c.split()[0] for c in ROW.split(", ")]
-ORACLES, SHIFT = 0, 1
-#: Rows of partial sums that may meet on the driver; more go through another level of summation first.
-MOST_PARTIALS = 64
+STATE = "client_id long, l double, g binary, h binary"
+MADE = "kind int, client_id long, f double, l double, items long, payload long, clients long, g binary, h binary"
+SUMS = "client_id long, n_rows int, f double, sum_g binary, sum_h binary"
+SHIFT, TOTAL = 0, 1
+#: Bytes of partial sums that may meet in one place; more go through another level of summation first.
+MOST_BYTES = 64 << 20
+
+
+def _names(schema: str) -> list[str]:
+    return [c.split()[0] for c in schema.split(", ")]
+
 
+TYPES = {"int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "binary": pa.binary()}
 
-def _batch(rows: list[tuple]) -> pa.RecordBatch:
-    types = [pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64(), pa.binary(), pa.binary(), pa.binary(), pa.binary(), pa.int64()]
-    return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(types)], NAMES)
+
+def _batch(schema: str, *rows: tuple) -> pa.RecordBatch:
+    types = [TYPES[c.split()[1]] for c in schema.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(types)], _names(schema))
 
 
 def _doubles(raw) -> np.ndarray:
     return np.frombuffer(raw, dtype=np.float64)
 
 
+def _cell(column: pa.Array, i: int) -> np.ndarray:
+    """The doubles in a binary cell, without a copy."""
+    return _doubles(column[i].as_buffer())
+
+
+@contextmanager
+def planned_once(spark: SparkSession) -> Iterator[None]:
+    """While a round's job runs: no plan changes between its stages, whose sizes are known beforehand."""
+    key = "spark.sql.adaptive.enabled"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "false")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 @dataclass
 class Means:
     """Weighted means over the clients of a round."""
@@ -54,6 +82,18 @@ class Means:
     payload: int
     clients: int
 
+    @staticmethod
+    def none(d: int, w: int) -> Means:
+        return Means(0.0, 0.0, np.zeros(d), np.zeros(w), 0, 0, 0)
+
+    def add(self, f: float, l: float, g: np.ndarray, s: np.ndarray, items: int, payload: int, clients: int) -> None:
+        self.f, self.l, self.items, self.payload, self.clients = self.f + f, self.l + l, self.items + items, self.payload + payload, self.clients + clients
+        self.g += g
+        self.s += s
+
+    def batch(self) -> pa.RecordBatch:
+        return _batch(MADE, (TOTAL, -1, self.f, self.l, self.items, self.payload, self.clients, self.g.tobytes(), self.s.tobytes()))
+
 
 @dataclass
 class RoundLog:
@@ -64,76 +104,83 @@ class RoundLog:
 
     def frame(self, spark) -> DataFrame:
         schema = "run_id string, round int, f double, grad_norm double, l double, items long, bytes long, step_s int, seconds double"
-        names = [c.split()[0] for c in schema.split(", ")]
+        names = _names(schema)
         return spark.createDataFrame([tuple(r.get(c) for c in names) for r in self.rows], schema)
 
 
+def merged(parts: DataFrame, schema: str, work, row_bytes: int) -> DataFrame:
+    """Partial sums in as many levels as keep what one place receives below MOST_BYTES; `work` sums an iterator of batches."""
+    count = int(parts.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    while count * row_bytes > MOST_BYTES and count > 4:
+        count = max(4, int(count**0.5))
+        parts = parts.repartition(count).mapInArrow(work, schema)
+    return parts
+
+
 class Engine:
     """Runs rounds for one problem over pinned clients."""
 
     def __init__(self, clients: Clients, problem: Problem, compressor: Compressor, alpha: float, seed: int = 7, commit_every: int = 10, lazy: bool = False, owner: str = "session"):
         self.clients, self.problem, self.compressor, self.alpha = clients, problem, compressor, alpha
-        self.seed, self.commit_every, self.owner, self.lazy = seed, commit_every, owner, lazy
+        self.seed, self.commit_every, self.owner = seed, commit_every, owner
+        self.lazy = lazy and isinstance(compressor, WindowK) and hasattr(problem, "entries")
         self.spark = clients.blocks.sparkSession
         self.shifts: DataFrame | None = None
         self._kept: list[DataFrame] = []
         self._rounds = 0
 
     # -- oracles -----------------------------------------------------------------------------------------
-    def _oracle_rows(self, x: np.ndarray, only: list[int] | None, step: int) -> DataFrame:
-        sent, problem = self.spark.sparkContext.broadcast(x), self.problem
-        compressor, seed = self.compressor, self.seed
-        lazy = self.lazy and isinstance(compressor, WindowK) and hasattr(problem, "entries")
-        d, w = self.clients.d, packed.length(self.clients.d)
+    def _block_sums(self, x: np.ndarray, step: int):
+        """Function of a client and a block: value, gradient and Hessian sums (with lazy, of the entries to be sent)."""
+        problem, compressor, seed, w = self.problem, self.compressor, self.seed, packed.length(self.clients.d)
+        if not self.lazy or step < 0:
+            return lambda c, z: problem.sums(z, x)
+
+        def entries(c, z):
+            m = z @ x
+            e = np.exp(-np.abs(m))
+            s = np.where(m >= 0, e, 1.0) / (1.0 + e)
+            return float((np.maximum(-m, 0) + np.log1p(e)).sum()), -(z.T @ s), problem.entries(z, x, compressor.positions(w, (seed, step, c)))
+
+        return entries
+
+    def _client_sums(self, x: np.ndarray, step: int, blocks: DataFrame) -> DataFrame:
+        """Sums of the blocks a task holds of a client: what travels when clients are spread over tasks."""
+        sums = self._block_sums(x, step)
 
         def evaluate(batches):
-            at, held, part = sent.value, {}, TaskContext.get().partitionId()
+            held: dict[int, list] = {}
             for batch in batches:
-                for c, n, raw in zip(batch.column("client_id").to_pylist(), batch.column("n_rows").to_pylist(), batch.column("z").to_pylist(), strict=True):
-                    z = _doubles(raw).reshape(n, -1)
-                    if lazy:
-                        where = compressor.positions(w, (seed, step, c))
-                        m = z @ at
-                        e = np.exp(-np.abs(m))
-                        s = np.where(m >= 0, e, 1.0) / (1.0 + e)
-                        f, g, h = float((np.maximum(-m, 0) + np.log1p(e)).sum()), -(z.T @ s), problem.entries(z, at, where)
-                    else:
-                        f, g, h = problem.sums(z, at)
+                for i, (c, n) in enumerate(zip(batch.column("client_id").to_pylist(), batch.column("n_rows").to_pylist(), strict=True)):
+                    f, g, h = sums(c, _cell(batch.column("z"), i).reshape(n, -1))
                     own = held.get(c)
                     held[c] = [n, f, g, h] if own is None else [own[0] + n, own[1] + f, own[2] + g, own[3] + h]
             for c, (n, f, g, h) in held.items():
-                yield _batch([(c, ORACLES, part, float(n), f, 0.0, g.tobytes(), h.tobytes(), None, None, 0)])
+                yield _batch(SUMS, (c, n, f, g.tobytes(), h.tobytes()))
 
-        blocks = self.clients.blocks if only is None else self.clients.blocks.where(F.col("client_id").isin(only))
-        return blocks.mapInArrow(evaluate, ROW)
+        return blocks.mapInArrow(evaluate, SUMS)
 
     def start(self, x: np.ndarray, init: str) -> tuple[np.ndarray, float]:
         """First shifts, zero or the Hessians at x; their mean."""
         w = packed.length(self.clients.d)
         if init == "zero":
-            rows = [(c, SHIFT, 0, 0.0, 0.0, 0.0, None, np.zeros(w).tobytes(), None, None, 0) for c in self.clients.ids]
-            # Zero shifts are made where they are used: only the ids leave the driver.
-            ids = self.spark.createDataFrame([(c,) for c in self.clients.ids], "client_id long")
 
             def zeros(batches):
                 for batch in batches:
-                    yield _batch([(c, *rows[0][1:]) for c in batch.column("client_id").to_pylist()])
+                    yield _batch(STATE, *[(c, 0.0, None, np.zeros(w).tobytes()) for c in batch.column("client_id").to_pylist()])
 
-            self._keep(ids.mapInArrow(zeros, ROW))
+            # Zero shifts are made where they are used: only the ids leave the driver.
+            self._keep(self.spark.createDataFrame([(c,) for c in self.clients.ids], "client_id long").mapInArrow(zeros, STATE))
             return np.zeros(w), 0.0
-        problem, sent = self.problem, self.spark.sparkContext.broadcast(x)
+        problem = self.problem
 
         def first(key, table):
-            n, f, g, h = _sum_oracles(table)
-            _, _, h = problem.finish(n, (f, g, h), sent.value)
-            return pa.Table.from_batches([_batch([(key[0].as_py(), SHIFT, 0, n, 0.0, 0.0, None, h.tobytes(), h.tobytes(), None, 0)])])
+            n, h = sum(table.column("n_rows").to_pylist()), sum(_doubles(r) for r in table.column("sum_h").to_pylist())
+            _, _, h = problem.finish(n, (0.0, np.zeros_like(x), np.array(h)), x)
+            return pa.table({"client_id": [key[0].as_py()], "l": [0.0], "g": pa.array([None], pa.binary()), "h": [h.tobytes()]})
 
-        lazy, self.lazy = self.lazy, False
-        rows = self._oracle_rows(x, None, -1).groupBy("client_id").applyInArrow(first, ROW)
-        self.lazy = lazy
-        kept = self._keep(rows)
-        total = self._reduce(kept.withColumn("val", F.col("h")).withColumn("idx", F.lit(None).cast("binary")))
-        return total.s, 0.0
+        self._keep(self._client_sums(x, -1, self.clients.blocks).groupBy("client_id").applyInArrow(first, STATE))
+        return global_oracles(self.clients, problem, x)[2], 0.0
 
     # -- a round -----------------------------------------------------------------------------------------
     def round(self, x: np.ndarray, step: int, only: list[int] | None = None, track: bool = False) -> Means:
@@ -142,48 +189,21 @@ class Engine:
         track keeps each client's corrected gradient (H_i + l_i I) x - g_i and returns changes of it and of l_i
         instead of the values, as partial participation needs.
         """
-        sent = self.spark.sparkContext.broadcast(x)
-        problem, compressor, alpha, seed, d = self.problem, self.compressor, self.alpha, self.seed, self.clients.d
-        lazy = self.lazy and isinstance(compressor, WindowK) and hasattr(problem, "entries")
-
-        def update(key, table):
-            c, at = key[0].as_py(), sent.value
-            kinds = table.column("kind").to_numpy()
-            n, f, g, h = _sum_oracles(table.filter(pa.array(kinds == ORACLES)))
-            old = table.filter(pa.array(kinds == SHIFT)).to_pylist()[0]
-            shift = _doubles(old["h"]).copy()
-            if lazy:
-                where = compressor.positions(len(shift), (seed, step, c))
-                diag = np.isin(where, packed.diagonal(d))
-                value = h / n + np.where(diag, problem.lam, 0.0)
-                factor = len(shift) / len(where) if compressor.scaled else 1.0
-                idx, val, payload = where, (value - shift[where]) * factor, 8 * len(where)
-                l, f, g = 0.0, f / n + 0.5 * problem.lam * float(at @ at), g / n + problem.lam * at
-            else:
-                f, g, h = problem.finish(n, (f, g, h), at)
-                diff = h - shift
-                l = packed.frobenius(diff, d)
-                message = compressor(diff, d, (seed, step, c))
-                idx, val, payload = message.idx, message.val, message.payload
-            shift[idx] += alpha * val
-            out_f, out_l, out_g = f, l, g
-            keep_l, keep_g = l, None
-            if track:
-                keep_l = packed.frobenius(h - shift, d)
-                full = packed.unpack(shift, d)
-                corrected = full @ at + keep_l * at - g
-                before = _doubles(old["g"]) if old["g"] is not None else np.zeros(d)
-                out_l, out_g, keep_g = keep_l - old["l"], corrected - before, corrected.tobytes()
-            rows = [(c, SHIFT, 0, n, f, keep_l, keep_g, shift.tobytes(), None, None, 0), (c, ORACLES, 0, n, out_f, out_l, out_g.tobytes(), None, idx.astype(np.int32).tobytes(), np.ascontiguousarray(val).tobytes(), payload)]
-            return pa.Table.from_batches([_batch(rows)])
-
-        shifts = self.shifts if only is None else self.shifts.where(F.col("client_id").isin(only))
-        both = self._oracle_rows(x, only, step).unionByName(shifts)
-        made = both.groupBy("client_id").applyInArrow(update, ROW).persist(StorageLevel.MEMORY_AND_DISK)
-        means = self._reduce(made.where(F.col("kind") == ORACLES))
-        state = made.where(F.col("kind") == SHIFT)
+        with planned_once(self.spark):
+            return self._round(x, step, only, track)
+
+    def _round(self, x: np.ndarray, step: int, only: list[int] | None, track: bool) -> Means:
+        together = self.clients.together
+        blocks, before = self.clients.blocks, self.shifts
+        if only is not None:
+            chosen = F.broadcast(self.spark.createDataFrame([(c,) for c in only], "client_id long"))
+            blocks, before = blocks.join(chosen, "client_id", "left_semi"), before.join(chosen, "client_id", "left_semi")
+        pieces = blocks if together else self._client_sums(x, step, blocks)
+        made = pieces.join(before.hint("merge"), "client_id").mapInArrow(self._sweep(x, step, track), MADE).persist(StorageLevel.MEMORY_AND_DISK)
+        means = self._collect(made.where(F.col("kind") == TOTAL))
+        state = made.where(F.col("kind") == SHIFT).select(*_names(STATE))
         if only is not None:
-            state = self.shifts.where(~F.col("client_id").isin(only)).unionByName(state)
+            state = self.shifts.join(chosen, "client_id", "left_anti").select(*_names(STATE)).unionByName(state)
         self._rounds += 1
         self._kept.append(made)
         self.shifts = state
@@ -195,57 +215,81 @@ class Engine:
             self._kept.pop(0).unpersist()
         return means
 
+    def _sweep(self, x: np.ndarray, step: int, track: bool):
+        """Function of the joined rows of a task, those of a client side by side."""
+        problem, compressor, alpha, seed, d = self.problem, self.compressor, self.alpha, self.seed, self.clients.d
+        w, lazy, together = packed.length(d), self.lazy and step >= 0, self.clients.together
+        sums, facts = self._block_sums(x, step), self.clients.facts()
+
+        def finish(c, held, old, total):
+            n, f, g, h = held
+            rows, q = facts.value[c]
+            if n != rows:
+                raise RuntimeError(f"client {c}: {n} of {rows} rows met in a task")
+            shift = old[2].copy()
+            if lazy:
+                where = compressor.positions(w, (seed, step, c))
+                value = h / n + np.where(np.isin(where, packed.diagonal(d)), problem.lam, 0.0)
+                idx, payload = where, 8 * len(where)
+                val = (value - shift[where]) * (w / len(where) if compressor.scaled else 1.0)
+                f, g, l = f / n + 0.5 * problem.lam * float(x @ x), g / n + problem.lam * x, 0.0
+            else:
+                f, g, h = problem.finish(n, (f, g, h), x)
+                diff = h - shift
+                l = packed.frobenius(diff, d)
+                message = compressor(diff, d, (seed, step, c))
+                idx, val, payload = message.idx, message.val, message.payload
+            shift[idx] += alpha * val
+            sent = np.zeros(w)
+            sent[idx] = val
+            out_l, out_g, keep_l, keep_g = l, g, l, None
+            if track:
+                keep_l = packed.frobenius(h - shift, d)
+                corrected = packed.unpack(shift, d) @ x + keep_l * x - g
+                out_l, out_g, keep_g = keep_l - old[0], corrected - (0.0 if old[1] is None else old[1]), corrected.tobytes()
+            total.add(q * f, q * out_l, q * out_g, q * sent, len(val), payload, 1)
+            return _batch(MADE, (SHIFT, c, f, keep_l, 0, 0, 0, keep_g, shift.tobytes()))
+
+        def sweep(batches):
+            total, client, held, old = Means.none(d, w), None, None, None
+            for batch in batches:
+                column = batch.column
+                for i, (c, n) in enumerate(zip(column("client_id").to_pylist(), column("n_rows").to_pylist(), strict=True)):
+                    if c != client:
+                        if client is not None:
+                            yield finish(client, held, old, total)
+                        client, held = c, None
+                        old = column("l")[i].as_py(), _cell(column("g"), i).copy() if column("g")[i].is_valid else None, _cell(column("h"), i).copy()
+                    f, g, h = sums(c, _cell(column("z"), i).reshape(n, -1)) if together else (column("f")[i].as_py(), _cell(column("sum_g"), i), _cell(column("sum_h"), i))
+                    held = [n, f, g, h] if held is None else [held[0] + n, held[1] + f, held[2] + g, held[3] + h]
+            if client is not None:
+                yield finish(client, held, old, total)
+                yield total.batch()
+
+        return sweep
+
     def _keep(self, df: DataFrame) -> DataFrame:
         self.shifts = written(df, "shifts", self.owner)
         return self.shifts
 
-    def _reduce(self, rows: DataFrame) -> Means:
-        """Weighted sums in two levels: per task, then few partial rows on the driver."""
+    def _collect(self, totals: DataFrame) -> Means:
+        """The sum of the tasks' means: on the driver, or through levels of tasks first where they are large."""
         d, w = self.clients.d, packed.length(self.clients.d)
-        weight = self.spark.sparkContext.broadcast(self.clients.weight)
-        schema = "f double, l double, items long, payload long, clients long, g binary, s binary"
-        names = [c.split()[0] for c in schema.split(", ")]
 
-        def as_batch(f, l, items, payload, clients, g, s):
-            return pa.RecordBatch.from_arrays([pa.array([f]), pa.array([l]), pa.array([items], pa.int64()), pa.array([payload], pa.int64()), pa.array([clients], pa.int64()), pa.array([g.tobytes()]), pa.array([s.tobytes()])], names)
-
-        def partial(batches):
-            f = l = 0.0
-            items = payload = clients = 0
-            g, s = np.zeros(d), np.zeros(w)
-            for batch in batches:
-                for r in sorted(batch.to_pylist(), key=lambda r: r["client_id"]):
-                    q = weight.value[r["client_id"]]
-                    f, l, payload, clients = f + q * r["f"], l + q * r["l"], payload + r["payload"], clients + 1
-                    if r["g"] is not None:
-                        g += q * _doubles(r["g"])
-                    val = _doubles(r["val"])
-                    if r["idx"] is None:
-                        s += q * val
-                    else:
-                        s[np.frombuffer(r["idx"], dtype=np.int32)] += q * val
-                    items += len(val)
-            if clients:
-                yield as_batch(f, l, items, payload, clients, g, s)
+        def add(total, f, l, g, h, items, payload, clients):
+            total.add(f, l, _doubles(g), _doubles(h), items, payload, clients)
 
         def merge(batches):
-            f = l = 0.0
-            items = payload = clients = 0
-            g, s = np.zeros(d), np.zeros(w)
+            total = Means.none(d, w)
             for batch in batches:
                 for r in batch.to_pylist():
-                    f, l, items, payload, clients = f + r["f"], l + r["l"], items + r["items"], payload + r["payload"], clients + r["clients"]
-                    g += _doubles(r["g"])
-                    s += _doubles(r["s"])
-            if clients:
-                yield as_batch(f, l, items, payload, clients, g, s)
-
-        parts = rows.mapInArrow(partial, schema)
-        if self.clients.n > MOST_PARTIALS * 64 or w > 1 << 16:
-            parts = parts.repartition(4).mapInArrow(merge, schema)
-        out = Means(0.0, 0.0, np.zeros(d), np.zeros(w), 0, 0, 0)
-        for r in parts.collect():  # one row of d + w doubles a task
-            out = Means(out.f + r.f, out.l + r.l, out.g + _doubles(r.g), out.s + _doubles(r.s), out.items + r.items, out.payload + r.payload, out.clients + r.clients)
+                    add(total, r["f"], r["l"], r["g"], r["h"], r["items"], r["payload"], r["clients"])
+            if total.clients:
+                yield total.batch()
+
+        out = Means.none(d, w)
+        for r in merged(totals, MADE, merge, 8 * (d + w)).collect():  # at most MOST_BYTES
+            add(out, r.f, r.l, r.g, r.h, r["items"], r.payload, r.clients)
         return out
 
     # -- passes without state ----------------------------------------------------------------------------
@@ -260,35 +304,31 @@ class Engine:
             self._kept.pop().unpersist()
 
 
-def _sum_oracles(table: pa.Table) -> tuple[float, float, np.ndarray, np.ndarray]:
-    """Sums of one client's partial rows, in the order of the tasks that made them."""
-    rows = sorted(table.select(["part", "n", "f", "g", "h"]).to_pylist(), key=lambda r: r["part"])
-    n, f = sum(r["n"] for r in rows), sum(r["f"] for r in rows)
-    g, h = _doubles(rows[0]["g"]).copy(), _doubles(rows[0]["h"]).copy()
-    for r in rows[1:]:
-        g += _doubles(r["g"])
-        h += _doubles(r["h"])
-    return n, f, g, h
-
-
-def _factors(clients: Clients) -> dict[int, float]:
-    return {c: clients.weight[c] / clients.rows[c] for c in clients.ids}
-
-
 def _summed(clients: Clients, function, size: int) -> np.ndarray:
-    """Sum over all blocks of factor * function(block), a vector of `size` doubles, partially per task."""
-    factors = clients.blocks.sparkSession.sparkContext.broadcast(_factors(clients))
+    """Sum over all blocks of weight / rows * function(block), a vector of `size` doubles, partially per task."""
+    facts = clients.facts()
 
     def work(batches):
         total, any_row = np.zeros(size), False
         for batch in batches:
-            for c, n, raw in zip(batch.column("client_id").to_pylist(), batch.column("n_rows").to_pylist(), batch.column("z").to_pylist(), strict=True):
-                total += factors.value[c] * function(_doubles(raw).reshape(n, -1))
+            for i, (c, n) in enumerate(zip(batch.column("client_id").to_pylist(), batch.column("n_rows").to_pylist(), strict=True)):
+                rows, weight = facts.value[c]
+                total += weight / rows * function(_cell(batch.column("z"), i).reshape(n, -1))
                 any_row = True
         if any_row:
             yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()])], ["v"])
 
-    return np.sum([_doubles(r.v) for r in clients.blocks.mapInArrow(work, "v binary").collect()], axis=0)
+    def merge(batches):
+        total = None
+        for batch in batches:
+            for i in range(batch.num_rows):
+                total = _cell(batch.column("v"), i) if total is None else total + _cell(batch.column("v"), i)
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()])], ["v"])
+
+    with planned_once(clients.blocks.sparkSession):
+        parts = merged(clients.blocks.mapInArrow(work, "v binary"), "v binary", merge, 8 * size)
+        return np.sum([_doubles(r.v) for r in parts.collect()], axis=0)
 
 
 def global_oracles(clients: Clients, problem: Problem, x: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:

@@ -96,6 +96,24 @@ def cubic_direction(h: np.ndarray, l: float, g: np.ndarray, lipschitz: float) ->
     return -(vectors @ (c / (values + lipschitz * high / 2)))
 
 
+#: Shortest step tried by backtracking: the search direction times shrink to this power.
+STEP_LIMIT = 30
+
+
+def backtrack(values, x: np.ndarray, p: np.ndarray, f: float, slope: float, c: float, shrink: float) -> int:
+    """Smallest s with f(x + shrink^s p) <= f + c shrink^s slope; `values` gives f at all trial points in one pass.
+
+    Near the optimum f stops moving at rounding: a full step whose promised decrease is below that is taken.
+    """
+    if abs(c * slope) < 1e-13 * max(1.0, abs(f)):
+        return 0
+    steps = shrink ** np.arange(STEP_LIMIT + 1)
+    good = np.nonzero(values(x + steps[:, None] * p) <= f + c * steps * slope)[0]
+    if not len(good):
+        raise RuntimeError("no step along the search direction decreases the objective")
+    return int(good[0])
+
+
 def participants(n: int, tau: int, seed: int, step: int) -> np.ndarray:
     """tau of the clients numbered 0..n-1, uniformly: those of smallest keyed draw."""
     order = np.lexsort((np.arange(n), prng.draws(n, seed, step)))

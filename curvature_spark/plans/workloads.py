@@ -402,11 +402,12 @@ def feature_events_json(spark, sf_dir):
 
 def feature_text_hash(spark, sf_dir):
     rows = features.sparse(spark, sf_dir)
-    return rows.select("sample_key", "label", F.size("present").alias("ones"), F.aggregate("present", F.lit(0).cast("long"), lambda s, v: s + v).alias("total"))
+    total = F.aggregate("hot", F.lit(0).cast("long"), lambda s, v: s + v) - features.BUCKETS
+    return rows.select("sample_key", "label", (F.size("hot") - 1).alias("ones"), total.alias("total"))
 
 
 def feature_star_onehot(spark, sf_dir):
-    rows = features.onehot(spark, sf_dir).select("label", F.explode("hot").alias("pos"))
+    rows = features.onehot(spark, sf_dir).select("label", F.explode("hot").alias("pos")).where(F.col("pos") < features.DIMENSIONS["onehot"] - 1)
     return rows.groupBy("pos").agg(F.count(F.lit(1)).alias("n"), F.sum("label").alias("balance"))
 
 

@@ -262,6 +262,7 @@ def test_a_replayed_round_gives_the_same_bits(clients):
 
 def test_unequal_clients_pool(samples):
     pooled = pin(split_hashed(samples, 4), 6, weights="pooled", rows_per_block=16, salts=2)
+    assert not pooled.together
     fit = train_shifts(pooled, PROBLEM, compressors.make("topk", 12), rounds=40)
     z = np.array([np.array(r.features) * r.label for r in samples.collect()])
     _, g, _ = PROBLEM.finish(len(z), PROBLEM.sums(z, fit.x), fit.x)
@@ -281,15 +282,60 @@ def test_first_order_and_splitting_baselines(clients, samples, answer):
 
 def test_features_have_fixed_dimensions(spark, small):
     for name in ("tiny", "users", "dense", "onehot", "sparse"):
-        sizes = features.BUILDERS[name](spark, small).select(F.size("features").alias("d")).distinct().collect()
-        assert [r.d for r in sizes] == [features.DIMENSIONS[name]]
-    ones = features.onehot(spark, small).select(F.aggregate("features", F.lit(0.0), lambda s, v: s + v).alias("n")).distinct().collect()
-    assert [r.n for r in ones] == [16.0]
+        d = features.DIMENSIONS[name]
+        sizes = features.expanded(features.BUILDERS[name](spark, small), d).select(F.size("features").alias("d"), F.element_at("features", -1).alias("last")).distinct().collect()
+        assert [(r.d, r.last) for r in sizes] == [(d, 1.0)]
+    ones = features.onehot(spark, small).select(F.size("hot").alias("n")).distinct().collect()
+    assert [r.n for r in ones] == [16]
+
+
+def test_binary_rows_scatter_into_blocks(spark):
+    import pyarrow as pa
+
+    z = features.scattered(pa.array([[0, 3], None, [], [None, 2]], pa.list_(pa.int32())), 4)
+    assert z.tolist() == [[1, 0, 0, 1], [0] * 4, [0] * 4, [0, 0, 1, 0]]
+    rows = spark.createDataFrame([("a", 1.0, 0, [0, 2]), ("b", -1.0, 0, [1, 2]), ("c", 1.0, 1, [2])], "sample_key string, label double, client_id long, hot array<int>")
+    blocks = {r.client_id: np.frombuffer(r.z).reshape(r.n_rows, 3).tolist() for r in pack_blocks(rows, 3).collect()}
+    assert blocks == {0: [[1, 0, 1], [0, -1, -1]], 1: [[0, 0, 1]]}
+
+
+def test_equal_split_ranks_by_the_draw(spark):
+    rows = spark.range(1000).select(F.col("id").cast("string").alias("sample_key"))
+    got = {r.sample_key: r.client_id for r in split_equal(rows, 7).collect()}
+    order = sorted((str(i) for i in range(1000)), key=lambda k: (prng.draw(7, k), k))
+    assert got == {k: n // 142 for n, k in enumerate(order) if n < 7 * 142}
+
+
+def test_base_method_diverges_where_the_search_converges(spark):
+    """Hessians that change by orders between the start and the minimiser: full projected steps overshoot, as in the
+    prototype; with the search along the step both engines go the same way to the minimiser."""
+    rng = np.random.default_rng(4)
+    ones = rng.random((240, 24)) < 0.3
+    rows = [(str(i), 1.0 if a[:12].sum() > a[12:].sum() else -1.0, int(i % 6), [int(j) for j in np.nonzero(a)[0]] + [24]) for i, a in enumerate(ones)]
+    samples = spark.createDataFrame(rows, "sample_key string, label double, client_id long, hot array<int>")
+    clients = pin(samples, 25)
+    local = {r.client_id: np.frombuffer(r.z).reshape(r.n_rows, -1) for r in clients.blocks.collect()}
+    c = compressors.make("topk", 12)
+    _, log = baselines.numpy_reference(local, PROBLEM, c, rounds=60)
+    assert min(r["grad_norm"] for r in log.rows) > 1e-6
+    search = (0.49, 0.5)
+    a = train_shifts(clients, PROBLEM, c, line_search=search, rounds=8, tol=0.0)
+    b, steps = baselines.numpy_reference(local, PROBLEM, c, rounds=8, tol=0.0, line_search=search)
+    assert a.x == pytest.approx(b, abs=1e-8) and [r["step_s"] for r in a.log.rows] == [r["step_s"] for r in steps.rows]
+    _, log = baselines.numpy_reference(local, PROBLEM, c, rounds=300, line_search=search)
+    assert log.rows[-1]["grad_norm"] < 1e-9
 
 
 def test_plans(spark, small):
     """Only needed columns are read, the star's dimensions are broadcast, and a round shuffles sums, never rows."""
     plan = features.onehot(spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in plan and "SortMergeJoin" not in plan
+    blocks = pin(features.portable_split(features.tiny(spark, small), 5), 3).blocks
+    shifts = spark.range(5).select(F.col("id").alias("client_id"), F.lit(0.0).alias("l")).hint("merge")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    joined = blocks.join(shifts, "client_id")._jdf.queryExecution().executedPlan().toString()
+    spark.conf.unset("spark.sql.adaptive.enabled")
+    above = joined.split("InMemoryRelation")[0]
+    assert "SortMergeJoin" in above and "Exchange" not in above and "Sort [" not in above
     scan = features.tiny(spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "o_orderdate" not in scan and "l_shipdate" not in scan.split("ReadSchema")[-1]
