@@ -151,3 +151,51 @@ b{k} AS MATERIALIZED (SELECT client, sqrt(sum(m * pow(h - hess, 2))) AS l, {", "
         ctes.append(f"t{k + 1} AS MATERIALIZED (SELECT client, pos, h FROM e{k} UNION ALL SELECT * FROM t{k} WHERE client NOT IN (SELECT client FROM n{k}))")
     rows = " UNION ALL ".join(f"SELECT CAST({k} AS INTEGER) AS round, x1, x2, x3 FROM w{k}" for k in range(rounds))
     return "WITH " + ",\n".join(ctes) + f"\nSELECT round, {', '.join(f'round({c}, 6) + 0.0 AS {c}' for c in ('x1', 'x2', 'x3'))} FROM ({rows})"
+
+
+#: Long form (sample_key, y, j, v) of the wide workloads; y is the label, j counts features from 1, v is the feature.
+LONG = {
+    "dense": """v AS (SELECT CAST(vec_id AS VARCHAR) AS sample_key, CASE WHEN label = 0 THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings WHERE embedding IS NOT NULL),
+cells AS (SELECT sample_key, y, unnest(range(1, 70)) AS j, unnest(list_concat(e, [sqrt(list_sum(list_transform(e, lambda x: x * x))), list_max(e), list_min(e), list_sum(list_transform(e, lambda x: abs(x))) / 8, 1.0])) AS v FROM v)""",
+    "sparse": """t AS (SELECT doc_id, lang, list_distinct(list_filter(regexp_split_to_array(lower(coalesce(text, '')), '\\s+'), lambda x: x <> '')) AS w FROM documents),
+cells AS (
+  SELECT CAST(doc_id AS VARCHAR) AS sample_key, CASE WHEN lang = 'en' THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y,
+    1 + unnest(list_append(list_distinct(list_transform(w, lambda x: CAST('0x' || substr(md5(x), 1, 8) AS BIGINT) % 300)), 300)) AS j, 1.0::DOUBLE AS v FROM t
+)""",
+}
+
+
+def minimiser(cells: str, clients: int, d: int, largest: float, rounds: int, equal: bool = False, lam: float = LAM) -> str:
+    """CTE `least(j, x, f)`: coordinates and value of the one minimiser of the mean of the clients' functions.
+
+    Accelerated gradient steps as a recursion over vectors, from the largest curvature; nothing of the engine's methods. With
+    `equal` clients are ranks of the draw in equal parts, the remainder dropped; otherwise the draw modulo `clients`.
+    """
+    ratio = (largest / lam) ** 0.5
+    momentum = round((ratio - 1) / (ratio + 1), 6)
+    draw = draw_sql("7", "sample_key")
+    if equal:
+        dealt = f"SELECT sample_key, y, n // per AS client FROM (SELECT sample_key, y, row_number() OVER (ORDER BY {draw}, sample_key) - 1 AS n, count(*) OVER () // {clients} AS per FROM k) WHERE n < per * {clients}"
+    else:
+        dealt = f"SELECT sample_key, y, {draw} % {clients} AS client FROM k"
+    zeros = f"list_transform(range({d}), lambda i: 0.0::DOUBLE)"
+    margins = f"SELECT i, sum(v * p[j]) AS m FROM lines, walk WHERE k < {rounds} GROUP BY i"
+    return f"""WITH RECURSIVE {cells},
+k AS MATERIALIZED (SELECT DISTINCT sample_key, y FROM cells), dealt AS MATERIALIZED ({dealt}),
+r AS MATERIALIZED (SELECT sample_key, row_number() OVER () AS i, 1.0::DOUBLE / count(*) OVER (PARTITION BY client) / (SELECT count(DISTINCT client) FROM dealt) AS q FROM dealt),
+lines AS MATERIALIZED (SELECT i, q, CAST(j AS INTEGER) AS j, y * v AS v FROM cells JOIN r USING (sample_key)),
+walk AS (
+  SELECT 0 AS k, {zeros} AS x, {zeros} AS p
+  UNION ALL
+  SELECT k + 1, nx, list_transform(range(1, {d} + 1), lambda i: nx[i] + {momentum} * (nx[i] - x[i])) FROM (
+    SELECT any_value(k) AS k, any_value(x) AS x, list(p[j] - (coalesce(g, 0) + {lam} * p[j]) / {largest} ORDER BY j) AS nx
+    FROM (SELECT * FROM walk WHERE k < {rounds}), (SELECT unnest(range(1, {d} + 1)) AS j) LEFT JOIN (
+      SELECT j, sum(-q * v / (1 + exp(m))) AS g FROM lines JOIN ({margins}) USING (i) GROUP BY j) USING (j)
+    HAVING count(*) > 0)
+),
+last AS MATERIALIZED (SELECT x FROM walk WHERE k = {rounds}),
+least AS (
+  SELECT unnest(range(1, {d} + 1)) AS j, unnest(x) AS x,
+    (SELECT sum(q * (greatest(-m, 0) + ln(1 + exp(-abs(m))))) FROM (SELECT i, any_value(q) AS q, sum(v * x[j]) AS m FROM lines, last GROUP BY i)) + {lam / 2} * list_sum(list_transform(x, lambda a: a * a)) AS f FROM last
+)
+"""
