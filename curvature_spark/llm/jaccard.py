@@ -7,7 +7,8 @@
 3. Tiles are banded by set size: only sizes within the bound of each other are compared.
    First every class meets the least class of its tile; found links are contracted. Then, twice, what is still apart meets
    one class drawn for each tile, which connects large groups by as many comparisons as they have rows.
-   Last, classes of one tile that are still apart meet each other, large tiles as a grid of blocks ordered by size.
+   Last, classes of one tile that are still apart meet each other, large tiles as a grid of blocks: bands of set size,
+   cut by a hash into blocks of about GRID rows, of which only those of the same and of neighbouring bands meet.
 4. A pair must pass its 2048-bit signatures of odd counts: with d differing bits the overlap is at most (|A| + |B| - d) / 2.
    What passes is decided by intersecting the two sorted hash arrays.
 5. Links are contracted to components.
@@ -27,12 +28,15 @@ from pyspark.sql import functions as F
 
 from ..plans.cuts import written
 from .components import components
+from .hot import hot_join
 
 #: Slots of the table of word counts: at most 262,144 numbers on the driver.
 SKETCH_BITS = 18
 SIGNATURE_WORDS = 32
-#: Rows of a tile that one task compares with each other.
+#: Rows of a tile that one task compares with each other, about.
 GRID = 1024
+#: A set that many others are compared with goes to at most so many places, once to each.
+SALTS = 1024
 #: Seeds of the turns in which each tile draws the class that the others meet.
 DRAWN_TURNS = (1, 2)
 #: Bits of the filter of documents whose sets are wanted (1 MB); fuller filters pass more, never less.
@@ -224,18 +228,29 @@ def _verified(docs: DataFrame, pairs: DataFrame, n: int, num: int, den: int, own
     """The pairs (a, b) whose sets reach the similarity, by intersecting sorted arrays; only sets of pairs are made."""
     nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
     sets = _sets_of(docs, written(nodes, "jaccard-nodes", owner), n, owner)
-    both = pairs.join(sets.select(F.col("node").alias("a"), F.col("set").alias("sa")), "a").join(sets.select(F.col("node").alias("b"), F.col("set").alias("sb")), "b")
+    # The set of a comes before those of its partners, once a place, not once a pair.
+    salted = pairs.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)).cast("int"))
+    heads = salted.select("a", "salt").distinct().join(sets.withColumnRenamed("node", "a"), "a").select("a", "salt", F.lit(None).cast("long").alias("b"), "set")
+    others = salted.join(sets.withColumnRenamed("node", "b"), "b").select("a", "salt", "b", "set")
+    dealt = heads.unionByName(others).repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
 
     def work(batches):
+        head, x = None, None
         for batch in _slices(batches, 500):
-            ok = []
-            for sa, sb in zip(batch.column("sa"), batch.column("sb"), strict=True):
-                x, y = np.frombuffer(sa.as_buffer(), dtype=U), np.frombuffer(sb.as_buffer(), dtype=U)
+            a, ok = batch.column("a").to_pylist(), []
+            for i, (b, raw) in enumerate(zip(batch.column("b"), batch.column("set"), strict=True)):
+                y = np.frombuffer(raw.as_buffer(), dtype=U)
+                if not b.is_valid:
+                    head, x = a[i], y.copy()
+                    ok.append(False)
+                    continue
+                if head != a[i]:
+                    raise RuntimeError("a set came apart from its partners")
                 overlap = len(np.intersect1d(x, y, assume_unique=True))
                 ok.append(den * overlap >= num * (len(x) + len(y) - overlap))
             yield batch.select(["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
-    return written(both.select("a", "b", "sa", "sb").mapInArrow(work, "a long, b long"), "jaccard-links", owner)
+    return written(dealt.mapInArrow(work, "a long, b long"), "jaccard-links", owner)
 
 
 def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owner: str = "session") -> DataFrame:
@@ -273,12 +288,14 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     about = reps.select("rep", "n", "sig")
     tiles = reps.select("rep", "n", F.explode("shown").alias("tile"))
     led = tiles.groupBy("tile").agg(F.count(F.lit(1)).alias("members"), F.min("rep").alias("leader")).where("members > 1")
-    tiles = written(tiles.join(led, "tile").select("tile", "rep", "n", "members", "leader"), "jaccard-tiles", owner)
+    led = written(led.withColumn("uses", F.col("members")), "jaccard-led", owner)
+    tiles = written(hot_join(tiles, led, "tile", "uses", owner).select("tile", "rep", "n", "members", "leader"), "jaccard-tiles", owner)
 
     def filtered(pairs: DataFrame) -> DataFrame:
+        pairs = written(pairs, "jaccard-met", owner)
         a = about.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sig").alias("sa"))
         b = about.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sb"))
-        met = pairs.join(a, "a").join(b, "b").where(_possible(num, den, F.col("na"), F.col("nb"), F.col("sa"), F.col("sb")))
+        met = hot_join(pairs, a, "a", owner=owner).join(b, "b").where(_possible(num, den, F.col("na"), F.col("nb"), F.col("sa"), F.col("sb")))
         return written(met.select("a", "b"), "jaccard-pairs", owner)
 
     first = filtered(tiles.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct())
@@ -290,17 +307,17 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
         turn = turns.pop(0)
         # Tiles whose classes are still apart; two classes have met already.
         placed = tiles.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
-        drawn = F.min_by("rep", F.xxhash64("rep", "tile", F.lit(turn or 0)))
+        placed = written(placed, "jaccard-placed", owner)
+        drawn = F.min_by(F.struct("rep", "root"), F.xxhash64("rep", "tile", F.lit(turn or 0)))
         apart = placed.groupBy("tile").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("members"), drawn.alias("leader")).where("lo < hi AND members > 2")
-        open_tiles = written(placed.join(apart.drop("lo", "hi"), "tile"), "jaccard-open", owner)
+        apart = written(apart.drop("lo", "hi").withColumn("uses", F.col("members")), "jaccard-apart", owner)
+        open_tiles = written(hot_join(placed, apart, "tile", "uses", owner), "jaccard-open", owner)
         if open_tiles.isEmpty():
             break
         if turn is None:
-            pairs = _apart_pairs(open_tiles.drop("leader"), about, num, den)
+            pairs = _apart_pairs(open_tiles.drop("leader"), about, num, den, owner)
         else:
-            heads = open_tiles.where("rep = leader").select("tile", F.col("root").alias("leader_root"))
-            met = open_tiles.where("rep <> leader").join(heads, "tile").where("root <> leader_root")
-            pairs = met.select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
+            pairs = open_tiles.where("root <> leader.root").select(F.col("leader.rep").alias("a"), F.col("rep").alias("b")).distinct()
         found = _verified(docs, filtered(pairs), n, num, den, owner)
         tiles = open_tiles.select("tile", "rep", "n")
         if found.isEmpty():
@@ -315,17 +332,25 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     )
 
 
-def _apart_pairs(tiles: DataFrame, about: DataFrame, num: int, den: int) -> DataFrame:
+def _apart_pairs(tiles: DataFrame, about: DataFrame, num: int, den: int, owner: str) -> DataFrame:
     """Distinct pairs (a, b) of one tile with different roots whose sizes and signatures fit.
 
-    A tile is cut into blocks of about GRID rows in order of set size (size bands: blocks out of reach of
-    each other never meet); every task compares two blocks.
+    Sizes within the bound of each other lie in one band or in neighbouring ones. A band of a large tile is cut by a
+    hash into blocks of about GRID rows; every group of rows compared by a task is two blocks at most.
     """
-    in_tile = Window.partitionBy("tile").orderBy("n", "rep")
-    small = tiles.where(F.col("members") <= GRID).withColumn("block", F.lit(0)).withColumn("blocks", F.lit(1))
-    large = tiles.where(F.col("members") > GRID).withColumn("block", F.floor((F.row_number().over(in_tile) - 1) / GRID).cast("int")).withColumn("blocks", F.ceil(F.col("members") / GRID).cast("int"))
-    rows = small.unionByName(large).join(about.select("rep", "sig"), "rep")
-    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    small = tiles.where(F.col("members") <= GRID).select("tile", "rep", "n", "root", F.lit(0).cast("long").alias("block"), F.array(F.lit(0).cast("long")).alias("others"))
+    large = tiles.where(F.col("members") > GRID).withColumn("band", F.floor(F.log(F.col("n").cast("double")) / float(np.log(den / num) + 1e-12)).cast("long"))
+    cut = large.groupBy("tile", "band").agg(F.count(F.lit(1)).alias("uses")).withColumn("parts", F.ceil(F.col("uses") / GRID).cast("long"))
+    in_order = Window.partitionBy("tile").orderBy("band")  # one row a band
+    beside = [F.when(step(F.col("band"), 1).over(in_order) == F.col("band") + way, step(F.col("parts"), 1).over(in_order)).otherwise(0) for step, way in ((F.lag, -1), (F.lead, 1))]
+    cut = written(cut.withColumn("below", beside[0]).withColumn("above", beside[1]), "jaccard-bands", owner)
+    number = lambda band, part: band * (1 << 32) + part
+    blocks = lambda band, count: F.when(count > 0, F.transform(F.sequence(F.lit(0).cast("long"), count - 1), lambda p: number(band, p))).otherwise(F.array().cast("array<bigint>"))
+    large = hot_join(large.drop("members"), cut, ["tile", "band"], "uses", owner).select(
+        "tile", "rep", "n", "root", number(F.col("band"), F.pmod(F.xxhash64("rep"), F.col("parts"))).alias("block"),
+        F.concat(blocks(F.col("band") - 1, F.col("below")), blocks(F.col("band"), F.col("parts")), blocks(F.col("band") + 1, F.col("above"))).alias("others"),
+    )
+    rows = small.unionByName(large).join(about.select("rep", "sig"), "rep").withColumn("other", F.explode("others"))
     rows = rows.select("tile", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "rep", "n", "root", "sig")
 
     dealt = rows.repartition("tile", "low", "high").sortWithinPartitions("tile", "low", "high", "n", "rep")

@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.cuts import written
+from .hot import beside
 from .words import word_array
 
 KEY_BUCKETS = 4096
@@ -31,9 +32,9 @@ def quality_weight(words: Column) -> Column:
     return F.when(n == 0, 1.0).otherwise(F.greatest(F.lit(0.25), F.size(F.array_distinct(words)) / n))
 
 
-def exponential_key(doc_id: Column, weight: Column, seed: int) -> Column:
-    """-ln(u)/weight with u from the md5 of the seed and the id (null ids share one draw)."""
-    text = F.concat(F.lit(f"{seed}:"), F.coalesce(doc_id.cast("string"), F.lit("null")))
+def exponential_key(doc_id: Column, weight: Column, seed: int, body: Column) -> Column:
+    """-ln(u)/weight with u from the md5 of the seed and the id; where the id is null, of the text `body`."""
+    text = F.concat(F.lit(f"{seed}:"), F.coalesce(doc_id.cast("string"), F.concat(F.lit("null:"), F.md5(F.coalesce(body, F.lit(""))))))
     u = (F.conv(F.substring(F.md5(text), 1, HEX_DIGITS), 16, 10).cast("double") + 1.0) / SPAN
     return -F.log(u) / weight
 
@@ -71,18 +72,18 @@ def mix(docs: DataFrame, seed: int = 17, owner: str = "session") -> DataFrame:
     like others (ties of the key go by doc_id, then size, and any order of equal rows gives the same
     rows). An empty table gives no rows. Runs with one seed agree, however the table is split.
     """
-    words = word_array(F.col("text"))
-    keyed = docs.select(
-        "doc_id",
-        "source",
-        F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("n")).alias("source_key"),
-        words.alias("_w"),
-    ).select(
+    return _mix(docs, seed, owner).drop("print")
+
+
+def _mix(docs: DataFrame, seed: int, owner: str) -> DataFrame:
+    """`mix` with a fingerprint of the text in column print."""
+    keyed = docs.select("doc_id", "source", _source_key().alias("source_key"), "text", word_array(F.col("text")).alias("words")).select(
         "doc_id",
         "source",
         "source_key",
-        F.size("_w").cast("long").alias("size"),
-        exponential_key(F.col("doc_id"), quality_weight(F.col("_w")), seed).alias("key"),
+        _print().alias("print"),
+        F.size("words").cast("long").alias("size"),
+        exponential_key(F.col("doc_id"), quality_weight(F.col("words")), seed, F.col("text")).alias("key"),
     )
     # exp(-key/2) spreads keys of weights from 0.25 to 1 over all buckets.
     keyed = keyed.withColumn("bucket", F.floor(KEY_BUCKETS * (1.0 - F.exp(-F.col("key") / 2))).cast("int"))
@@ -115,11 +116,11 @@ def mix(docs: DataFrame, seed: int = 17, owner: str = "session") -> DataFrame:
     )
     # One short row a source: broadcast if counted to be few, else a plain join, which splits hot sources.
     planned = keyed.join(F.broadcast(plan) if plan.count() <= FEW_SOURCES else plan, "source_key")
-    shown = ["doc_id", "source", "size", "source_size", "target", "epochs"]
+    shown = ["doc_id", "source", "print", "size", "source_size", "target", "epochs"]
     away = planned.where(F.col("bucket") != F.col("edge_bucket")).select(
         *shown, (F.col("epochs") * F.col("size") + F.when(F.col("bucket") < F.col("edge_bucket"), F.col("size")).otherwise(0)).alias("taken")
     )
-    in_order = Window.partitionBy("source_key").orderBy("key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    in_order = Window.partitionBy("source_key").orderBy("key", "doc_id", "size", "print").rowsBetween(Window.unboundedPreceding, -1)
     at_edge = (
         planned.where(F.col("bucket") == F.col("edge_bucket"))
         .withColumn("left", F.col("budget") - F.col("edge_before") - F.coalesce(F.sum("size").over(in_order), F.lit(0)))
@@ -131,22 +132,35 @@ def mix(docs: DataFrame, seed: int = 17, owner: str = "session") -> DataFrame:
 def mixed_documents(docs: DataFrame, seed: int = 17, owner: str = "session") -> DataFrame:
     """`docs` with every document repeated as often as the mix takes it, a cut one counting from one half on.
 
-    The columns stay those of `docs`; documents without words are in no mix.
+    The columns stay those of `docs`, whatever their names; documents without words are in no mix. Rows that share id,
+    source and text are taken as often as the one of them that is taken most; rows that share only the id are apart.
     """
-    times = mix(docs.select("doc_id", "text", "source"), seed, owner).where(F.col("size") > 0)
-    times = times.select("doc_id", F.floor(F.col("taken") / F.col("size") + 0.5).cast("int").alias("_times")).where(F.col("_times") > 0)
-    times = times.groupBy(F.coalesce(F.col("doc_id"), F.lit(-1)).alias("_id"), F.col("doc_id").isNull().alias("_none")).agg(F.max("_times").alias("_times"))
-    keyed = docs.withColumn("_id", F.coalesce(F.col("doc_id"), F.lit(-1))).withColumn("_none", F.col("doc_id").isNull())
-    joined = keyed.join(times, ["_id", "_none"])
-    return joined.withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*docs.columns)
+    taken = F.floor(F.col("taken") / F.col("size") + 0.5).cast("int")
+    times = _mix(docs.select("doc_id", "text", "source"), seed, owner).where(F.col("size") > 0)
+    times = times.groupBy(F.struct(_id().alias("id"), _source_key().alias("source"), "print").alias("key")).agg(F.max(taken).alias("times")).where("times > 0")
+    keyed = beside(docs, key=F.struct(_id().alias("id"), _source_key().alias("source"), _print().alias("print")))
+    return keyed.join(times, "key").select("row", F.explode(F.sequence(F.lit(1), F.col("times"))).alias("turn")).select("row.*")
+
+
+def _id() -> Column:
+    return F.coalesce(F.col("doc_id").cast("string"), F.lit(""))
+
+
+def _print() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit("")))
+
+
+def _source_key() -> Column:
+    """Tells the null source from every other."""
+    return F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("n"))
 
 
 ORACLE = """
 WITH d AS (
-  SELECT doc_id, source, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS w FROM documents
+  SELECT doc_id, source, text, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS w FROM documents
 ), k AS (
   SELECT doc_id, source, CAST(len(w) AS BIGINT) AS size,
-    -ln((CAST(CAST('0x' || substr(md5('17:' || coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 13) AS BIGINT) AS DOUBLE) + 1.0) / 4503599627370498.0)
+    -ln((CAST(CAST('0x' || substr(md5('17:' || coalesce(CAST(doc_id AS VARCHAR), 'null:' || md5(coalesce(text, '')))), 1, 13) AS BIGINT) AS DOUBLE) + 1.0) / 4503599627370498.0)
       / CASE WHEN len(w) = 0 THEN 1.0 ELSE greatest(0.25, CAST(list_unique(w) AS DOUBLE) / len(w)) END AS key
   FROM d
 ), s AS (

@@ -12,23 +12,32 @@ whose short key is not theirs alone are joined by content instead, so no hash is
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.cuts import written
+from .hot import beside, hot_join
 from .words import lower_ascii
 
 BLOCK_CHARS = 32768
 
 
-def _names(distinct: DataFrame, order: list[str]) -> DataFrame:
-    """Integer names for the rows of `distinct`: the partition, then the place in its sort order.
+#: Equal ranges of a 64-bit hash in which names are counted.
+SLICE_BITS = 12
 
-    Distinct rows come out of an aggregation dealt by their content; they are sorted where they are, and no
-    content goes to the driver to find ranges. A name is made once and written before use, so a
-    lost executor cannot change it.
+
+def _names(distinct: DataFrame, hashed: Column, order: list[str]) -> DataFrame:
+    """Integer names 0, 1, 2, ... for the rows of `distinct` (written) in the order of (hashed, *order).
+
+    The order is that of the contents alone, so names do not depend on how a table is split. Ranks are counted
+    within equal ranges of the hash, each beginning where those before it end: no task sorts more than a range, and no
+    content goes to the driver to find ranges.
     """
-    return distinct.sortWithinPartitions(*order).withColumn("name", F.monotonically_increasing_id())
+    sliced = distinct.withColumn("hashed", hashed).withColumn("slice", F.shiftright("hashed", 64 - SLICE_BITS).cast("int"))
+    counts = sliced.groupBy("slice").agg(F.count(F.lit(1)).alias("n"))
+    begins = counts.select("slice", (F.sum("n").over(Window.orderBy("slice")) - F.col("n")).alias("begins"))  # 2^SLICE_BITS rows
+    rank = F.row_number().over(Window.partitionBy("slice").orderBy("hashed", *order)) - 1
+    return sliced.withColumn("rank", rank).join(F.broadcast(begins), "slice").withColumn("name", (F.col("begins") + F.col("rank")).cast("long")).drop("hashed", "slice", "rank", "begins")
 
 
 def _short_key(block: Column) -> Column:
@@ -62,20 +71,17 @@ def identities(docs: DataFrame, block_chars: int = BLOCK_CHARS, owner: str = "se
         ).alias("block")
     )
     distinct = content.groupBy("block").agg(F.count(F.lit(1)).alias("uses"))
-    named = written(
-        _names(distinct, ["block"]).withColumn("key", _short_key(F.col("block"))).select("key", "name", F.sha2("block", 512).alias("check")),
-        "naming-blocks",
-        owner,
-    )
-    shared = named.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    short = written(distinct.select(_short_key(F.col("block")).alias("key"), "uses"), "naming-blocks", owner)
+    shared = short.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     if not shared.isEmpty():
-        return _by_content(docs, keyed, distinct, block_chars, owner)
-    return _folded(keyed.select("row_no", "doc_id", "text_sha256", F.posexplode("keys").alias("pos", "key")), named.select("key", "name"), owner)
+        return _by_content(docs, distinct, block_chars, owner)
+    named = written(_names(short, F.xxhash64("key"), ["key"]), "naming-names", owner)
+    return _folded(keyed.select("row_no", "doc_id", "text_sha256", F.posexplode("keys").alias("pos", "key")), named, owner)
 
 
-def _by_content(docs: DataFrame, keyed: DataFrame, distinct: DataFrame, block_chars: int, owner: str) -> DataFrame:
+def _by_content(docs: DataFrame, distinct: DataFrame, block_chars: int, owner: str) -> DataFrame:
     """The same identities when short keys collide: whole contents are the join key."""
-    named = written(_names(distinct, ["block"]).select("block", "name"), "naming-contents", owner)
+    named = written(_names(written(distinct, "naming-distinct", owner), F.xxhash64("block"), ["block"]), "naming-contents", owner)
     text = lower_ascii(F.col("text"))
     base = docs.select("doc_id", text.alias("t")).withColumn("row_no", F.monotonically_increasing_id())
     pieces = base.select(
@@ -87,12 +93,12 @@ def _by_content(docs: DataFrame, keyed: DataFrame, distinct: DataFrame, block_ch
             )
         ).alias("pos", "key"),
     )
-    return _folded(pieces, named.withColumnRenamed("block", "key"), owner)
+    return _folded(written(pieces, "naming-pieces", owner), named.withColumnRenamed("block", "key"), owner)
 
 
 def _folded(pieces: DataFrame, names: DataFrame, owner: str) -> DataFrame:
-    """Name adjacent pairs until each document has one name left."""
-    level = written(pieces.join(names, "key").select("row_no", "doc_id", "text_sha256", "pos", "name"), "naming-level", owner)
+    """Name adjacent pairs until each document has one name left. names: key, name, uses."""
+    level = written(hot_join(pieces, names, "key", "uses", owner).select("row_no", "doc_id", "text_sha256", "pos", "name"), "naming-level", owner)
     ended = level.where("pos = 0")
     longest = level.agg(F.max("pos")).first()[0] or 0
     if longest == 0:
@@ -110,8 +116,9 @@ def _folded(pieces: DataFrame, names: DataFrame, owner: str) -> DataFrame:
             F.coalesce(F.min(F.when(F.col("pos") % 2 == 1, F.col("name"))), F.lit(-1)).alias("b"),
         )
         pairs = written(pairs, "naming-pairs", owner)
-        named = written(_names(pairs.select("a", "b").distinct(), ["a", "b"]), "naming-pair-names", owner)
-        rest = written(pairs.join(named, ["a", "b"]).select("row_no", "pos", "name"), "naming-level", owner)
+        distinct = written(pairs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("uses")), "naming-distinct-pairs", owner)
+        named = written(_names(distinct, F.xxhash64("a", "b"), ["a", "b"]), "naming-pair-names", owner)
+        rest = written(hot_join(pairs, named, ["a", "b"], "uses", owner).select("row_no", "pos", "name"), "naming-level", owner)
         longest = rest.agg(F.max("pos")).first()[0] or 0
         if longest == 0:
             done.append(rest.select("row_no", F.lit(step).alias("level"), "name"))
@@ -137,7 +144,8 @@ def exact_groups(docs: DataFrame, block_chars: int = BLOCK_CHARS, owner: str = "
     rows = written(identities(docs, block_chars, owner), "naming-identities", owner)
     best = F.max(F.struct(F.col("doc_id"), F.col("row_no")))
     groups = rows.groupBy("identity").agg(best.alias("best"), F.count(F.lit(1)).alias("group_size"))
-    return rows.join(groups, "identity").select(
+    groups = written(groups.withColumn("uses", F.col("group_size")), "naming-groups", owner)
+    return hot_join(rows, groups, "identity", "uses", owner).select(
         "doc_id",
         F.col("best.doc_id").alias("keep_id"),
         "group_size",
@@ -147,12 +155,12 @@ def exact_groups(docs: DataFrame, block_chars: int = BLOCK_CHARS, owner: str = "
 
 
 def deduplicated(docs: DataFrame, block_chars: int = BLOCK_CHARS, owner: str = "session") -> DataFrame:
-    """`docs` without all but one row of each group of equal texts; columns as they come."""
-    kept = exact_groups(docs, block_chars, owner).where("kept").select(F.coalesce(F.col("doc_id"), F.lit(-1)).alias("_id"), F.col("doc_id").isNull().alias("_none"), F.col("text_sha256").alias("_sha"))
-    keyed = docs.withColumn("_id", F.coalesce(F.col("doc_id"), F.lit(-1))).withColumn("_none", F.col("doc_id").isNull()).withColumn("_sha", F.sha2(lower_ascii(F.col("text")), 256))
-    found = keyed.join(kept, ["_id", "_none", "_sha"], "left_semi")
+    """`docs` without all but one row of each group of equal texts; columns as they come, whatever their names."""
+    same = F.struct(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("id"), F.col("text_sha256"))
+    kept = exact_groups(docs, block_chars, owner).where("kept").select(same.alias("same"))
+    keyed = beside(docs, same=F.struct(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("id"), F.sha2(lower_ascii(F.col("text")), 256).alias("text_sha256")))
     # Rows that repeat an id and a text are one document: any of them stands for all.
-    return found.dropDuplicates(["_id", "_none", "_sha"]).select(*docs.columns)
+    return keyed.join(kept, "same", "left_semi").dropDuplicates(["same"]).select("row.*")
 
 
 ORACLE = """

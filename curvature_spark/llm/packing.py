@@ -18,7 +18,7 @@ import zlib
 from collections.abc import Iterable, Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,8 +27,8 @@ LENGTH, END_ID = 2048, 1
 SEGMENTS = 64
 #: Rests held by a task before they are packed.
 POOL = 4096
-#: Kinds of rest by size; a heuristic step looks at one of each kind.
-KINDS = 128
+#: Kinds of rest by size, and of those by share of loss-bearing tokens; a heuristic step looks at one of each kind.
+KINDS, SHARES = 128, 8
 
 _loaded: dict[str, object] = {}
 
@@ -91,7 +91,8 @@ class Packer:
 
     def __init__(self, length: int, segments: int, loss: int, pool: int):
         self.length, self.segments, self.loss, self.pool = length, segments, loss, pool
-        self.kinds: list[list[Piece]] = [[] for _ in range(KINDS + 1)]
+        # By size, then by loss-bearing share; only shares that occur have a list.
+        self.kinds: list[dict[int, list[Piece]]] = [{} for _ in range(KINDS + 1)]
         self.held = 0
 
     def _kind(self, n: int) -> int:
@@ -99,9 +100,18 @@ class Packer:
 
     def _hold(self, piece: Piece) -> None:
         if len(piece.ids):
-            self.kinds[self._kind(len(piece.ids))].append(piece)
+            share = int(piece.loss.sum()) * (SHARES - 1) // len(piece.ids)
+            self.kinds[self._kind(len(piece.ids))].setdefault(share, []).append(piece)
             self.held += 1
 
+    def _take(self, k: int, share: int) -> Piece:
+        self.held -= 1
+        own = self.kinds[k][share]
+        piece = own.pop()
+        if not own:
+            del self.kinds[k][share]
+        return piece
+
     def add(self, piece: Piece) -> Iterator[list[Piece]]:
         """Take a document; gives the sequences that are full."""
         while len(piece.ids) >= self.length:
@@ -122,28 +132,23 @@ class Packer:
         share = left / np.array([self.length, self.segments, self.loss], dtype=float)
         best, chosen = -1.0, None
         for k in range(self._kind(int(left[0])), -1, -1):
-            if not self.kinds[k]:
-                continue
-            piece = self.kinds[k][-1]
-            n, bearing = len(piece.ids), int(piece.loss.sum())
-            if n > left[0] or bearing > left[2]:
-                continue
-            score = float(share @ (n / self.length, 1 / self.segments, bearing / self.loss))
-            if score > best:
-                best, chosen = score, k
-            break_at = share @ (1.0 * k / KINDS, 1 / self.segments, 1.0 * k / KINDS)
-            if best > break_at:  # smaller kinds cannot do better
+            for kind, own in self.kinds[k].items():
+                n, bearing = len(own[-1].ids), int(own[-1].loss.sum())
+                if n > left[0] or bearing > left[2]:
+                    continue
+                score = float(share @ (n / self.length, 1 / self.segments, bearing / self.loss))
+                if score > best:
+                    best, chosen = score, (k, kind)
+            # What smaller kinds can reach: fewer tokens than this kind begins with, all of them bearing loss.
+            most = k * self.length / KINDS
+            if best > share @ (most / self.length, 1 / self.segments, min(most, float(left[2])) / self.loss):
                 break
-        if chosen is None:
-            return None
-        self.held -= 1
-        return self.kinds[chosen].pop()
+        return None if chosen is None else self._take(*chosen)
 
     def _any(self) -> Piece | None:
         for k in range(KINDS, -1, -1):
-            if self.kinds[k]:
-                self.held -= 1
-                return self.kinds[k].pop()
+            for kind in self.kinds[k]:
+                return self._take(k, kind)
         return None
 
     def drain(self, keep: int) -> Iterator[list[Piece]]:
@@ -193,42 +198,45 @@ def pack(examples: Iterable[Piece], length: int = LENGTH, segments: int = SEGMEN
     yield from packer.drain(0)
 
 
-def packed(docs: DataFrame, path: str, ranks: str | None = None, pattern: str | None = None, length: int = LENGTH, segments: int = SEGMENTS, loss: int | None = None) -> DataFrame:
+def packed(docs: DataFrame, path: str, ranks: str | None = None, pattern: str | None = None, length: int = LENGTH, segments: int = SEGMENTS, loss: int | None = None, loss_from: str | None = None) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, loss_tokens, sequence_id, offset, sequence_length.
 
-    docs needs doc_id and text, and may have loss_from (long: ids before it bear no loss, as prompts do); other
-    columns are ignored. Null and empty texts are the end id alone; repeated rows are packed each. An
-    empty table gives no rows. Sequences are padded to `length` unless sequence_length is a power of two.
-    sequence_id is the task's number in the upper bits and the sequence's place in the task below.
+    docs needs doc_id and text; loss_from names a column of whole numbers (null: 0): ids before it bear no loss, as
+    prompts do. Other columns are ignored. Null and empty texts are the end id alone; repeated rows are packed each; ids of
+    any size and null ids come back as they are. An empty table gives no rows. Sequences are padded to `length` unless
+    sequence_length is a power of two. sequence_id is the task's number in the upper bits and the sequence's place in the
+    task below.
     """
     kind = dict(docs.dtypes)["doc_id"]
-    columns = ["doc_id", F.coalesce("text", F.lit("")).alias("text")] + (["loss_from"] if "loss_from" in docs.columns else [])
+    first = F.coalesce(F.col(loss_from).cast("long"), F.lit(0).cast("long")) if loss_from else F.lit(0).cast("long")
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), first.alias("first"))
 
     def work(batches):
-        ids_for, base = ids_of(path, ranks, pattern), TaskContext.get().partitionId() << 40
+        ids_for, base, types = ids_of(path, ranks, pattern), TaskContext.get().partitionId() << 40, []
 
         def examples():
-            for pdf in batches:
-                starts = pdf["loss_from"].fillna(0) if "loss_from" in pdf else [0] * len(pdf)
-                for doc, text, first in zip(pdf["doc_id"], pdf["text"], starts, strict=True):
-                    ids = np.append(ids_for(text), np.uint32(END_ID))
-                    yield Piece(doc, 0, ids, len(ids), (np.arange(len(ids)) >= first).astype(np.int64))
+            for batch in batches:
+                types[:] = [batch.column("doc_id").type]
+                for doc, text, bears in zip(batch.column("doc_id"), batch.column("text"), batch.column("first").to_pylist(), strict=True):
+                    ids = np.append(ids_for(text.as_py()), np.uint32(END_ID))
+                    yield Piece(doc.as_py(), 0, ids, len(ids), (np.arange(len(ids)) >= bears).astype(np.int64))
 
-        rows = []
+        made: list[tuple] = []
         for n, sequence in enumerate(pack(examples(), length, segments, loss)):
             at, total = 0, sum(len(p.ids) for p in sequence)
             for p in sequence:
-                rows.append((p.doc, p.start, len(p.ids), zlib.crc32(p.ids.astype("<u4").tobytes()), p.total, int(p.loss.sum()), base + n, at, total))
+                made.append((p.doc, p.start, len(p.ids), zlib.crc32(p.ids.astype("<u4").tobytes()), p.total, int(p.loss.sum()), base + n, at, total))
                 at += len(p.ids)
-            if len(rows) >= 10_000:
-                yield frame(rows)
-                rows = []
-        yield frame(rows)
+            if len(made) >= 10_000:
+                yield frame(made, types[0])
+                made = []
+        if made:
+            yield frame(made, types[0])
 
     names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "loss_tokens", "sequence_id", "offset", "sequence_length"]
 
-    def frame(rows):
-        out = pd.DataFrame(rows, columns=names)
-        return out.astype({"doc_id": "object"}) if out["doc_id"].isna().any() else out
+    def frame(made, of):
+        columns = list(zip(*made, strict=True))
+        return pa.RecordBatch.from_arrays([pa.array(columns[0], of), *[pa.array(c, pa.int64()) for c in columns[1:]]], names)
 
-    return docs.select(*columns).mapInPandas(work, f"doc_id {kind}, " + ", ".join(f"{c} long" for c in names[1:]))
+    return rows.mapInArrow(work, f"doc_id {kind}, " + ", ".join(f"{c} long" for c in names[1:]))

@@ -18,7 +18,7 @@ from ..plans.cuts import written
 ROUNDS = 6
 PRIME = 2147483629
 #: More steps than any walk takes for N up to 10^3 (fewer than sqrt N places lie outside); beyond,
-#: a longer walk has a chance below N * N^(-WALK/2).
+#: a longer walk has a chance below N * N^(-WALK/2), and ends the query with an error, never with a wrong place.
 WALK = 32
 
 
@@ -60,7 +60,8 @@ def place(x: Column, total: int, seed: int) -> Column:
     a = max(1, math.isqrt(max(0, total - 1)) + 1)
     b = max(1, -(-total // a))
     first = _pass(x, a, b, seed)
-    return F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), first, lambda acc, _: F.when(acc < total, acc).otherwise(_pass(acc, a, b, seed)))
+    walked = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), first, lambda acc, _: F.when(acc < total, acc).otherwise(_pass(acc, a, b, seed)))
+    return F.aggregate(F.array(walked), F.lit(0).cast("long"), lambda _, p: F.when(p < total, p).otherwise(F.raise_error(F.lit("a walk is not over: raise WALK")).cast("long")))
 
 
 def global_rows(rows: DataFrame, order: list[str], owner: str = "session") -> tuple[DataFrame, int]:

@@ -29,12 +29,19 @@ QUERY_BLOCK = 4096
 SEED_ROWS = 512
 BATCH = 1024
 FREE, WORST = np.iinfo(np.int64).max, np.iinfo(np.int64).min
+#: Doubles from here on are whole numbers; products of components below HUGE have exact sums over 2^9 components.
+WHOLE, HUGE = float(2**53), float(2**22)
 
 
 def integer_vector(vector: Column, scale: int = 1024) -> Column:
-    """floor(scale * x) of each component as a double; null unless every component is finite."""
+    """floor(scale * x) of each component as a double; null unless every component is finite.
+
+    From 2^53 on a double is whole already, and its floor would not fit the long that `floor` gives.
+    """
     ok = vector.isNotNull() & ~F.exists(vector, lambda x: x.isNull() | F.isnan(x) | (F.abs(x.cast("double")) == float("inf")))
-    return F.when(ok, F.transform(vector, lambda x: F.floor(x.cast("double") * scale).cast("double")))
+    scaled = F.transform(vector, lambda x: x.cast("double") * scale)
+    ok = ok & ~F.exists(scaled, lambda y: F.abs(y) == float("inf"))
+    return F.when(ok, F.transform(scaled, lambda y: F.when(F.abs(y) < WHOLE, F.floor(y).cast("double")).otherwise(y)))
 
 
 def segment_features(x: np.ndarray, segments: int) -> np.ndarray:
@@ -48,14 +55,19 @@ def segment_features(x: np.ndarray, segments: int) -> np.ndarray:
 
 
 def exact_scores(q: np.ndarray, c: np.ndarray, rows: np.ndarray, cols: np.ndarray) -> np.ndarray:
-    """Integer inner products of the pairs (rows, cols), in doubles where those hold every sum exactly."""
+    """Integer inner products of the pairs (rows, cols), in doubles where those hold every sum exactly.
+
+    Products beyond the 64 bits of a score are its largest or smallest value; such scores tie.
+    """
     top = float(np.abs(q).max(initial=0.0)) * float(np.abs(c).max(initial=0.0)) * max(1, q.shape[1])
     if top < 2**53:
         out = np.empty(len(rows), dtype=np.int64)
         for a in range(0, len(rows), 1 << 16):
             out[a : a + (1 << 16)] = np.einsum("ij,ij->i", q[rows[a : a + (1 << 16)]], c[cols[a : a + (1 << 16)]])
         return out
-    return np.array([int(sum(int(a) * int(b) for a, b in zip(q[i], c[j], strict=True))) for i, j in zip(rows, cols, strict=True)], dtype=np.int64)
+    whole_q, whole_c = ({i: [int(a) for a in m[i]] for i in np.unique(at).tolist()} for m, at in ((q, rows), (c, cols)))
+    exact = (sum(a * b for a, b in zip(whole_q[i], whole_c[j], strict=True)) for i, j in zip(rows.tolist(), cols.tolist(), strict=True))
+    return np.array([min(FREE, max(-FREE, s)) for s in exact], dtype=np.int64)
 
 
 class Best:
@@ -75,7 +87,7 @@ class Best:
         want = None
         for level, mine in enumerate(self.features):
             bound = mine @ segment_features(vectors[cols], LEVELS[level]).T
-            want = bound + slack >= self.floors[:, None]
+            want = ~(bound + slack < self.floors[:, None])  # a bound that overflows drops nothing
             alive = want.any(axis=0)
             cols, want = cols[alive], want[:, alive]
             if not len(cols):
@@ -107,13 +119,19 @@ class Best:
         return pd.DataFrame({"query_id": self.ids[q], "vec_id": self.found_id[q, j], "score": self.found[q, j]})
 
 
-def _stacked(values) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """ids and matrices of (id, vector) pairs by length: vectors of other lengths have no inner product."""
+def _stacked(values) -> dict[tuple[int, bool], tuple[np.ndarray, np.ndarray]]:
+    """ids and matrices of (id, vector) pairs by length and by whether a component is huge.
+
+    Vectors of other lengths have no inner product; huge ones loosen bounds and need longer integers, which the
+    others are spared.
+    """
     by = defaultdict(lambda: ([], []))
     for i, v in values:
-        by[len(v)][0].append(i)
-        by[len(v)][1].append(np.asarray(v, dtype=np.float64))
-    return {n: (np.array(i, dtype=np.int64), np.stack(v).reshape(len(i), n)) for n, (i, v) in by.items()}
+        v = np.asarray(v, dtype=np.float64)
+        own = by[len(v), bool(np.abs(v).max(initial=0.0) >= HUGE)]
+        own[0].append(i)
+        own[1].append(v)
+    return {k: (np.array(i, dtype=np.int64), np.stack(v).reshape(len(i), k[0])) for k, (i, v) in by.items()}
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, owner: str = "session", query_block: int = QUERY_BLOCK) -> DataFrame:
@@ -121,7 +139,11 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, owner: str = "ses
 
     Both tables need vec_id (long) and vector (whole numbers as array<double>). Null ids and null vectors
     take no part, nor do candidates of another length than the query or with the query's own id; ties go to
-    the smaller vec_id; repeated rows of a candidate are one candidate. Empty tables give no rows.
+    the smaller vec_id; repeated rows of a candidate are one candidate. Scores beyond 64 bits are the largest or smallest
+    long and tie. Empty tables give no rows.
+
+    Queries run block by block, each a scan of all candidates of its own whose broadcast is destroyed when its
+    best are written.
     """
     spark = vectors.sparkSession
     clean = lambda df: df.where(F.col("vec_id").isNotNull() & F.col("vector").isNotNull()).select("vec_id", "vector")
@@ -142,24 +164,25 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, owner: str = "ses
         part = asked if blocks == 1 else asked.where((F.col("vec_id") > low) & (F.col("vec_id") <= high))
         block = _stacked((r.vec_id, r.vector) for r in part.toLocalIterator())
         started = {}
-        for n, (ids, mat) in block.items():
+        for (n, huge), (ids, mat) in block.items():
             first = Best(ids, mat, k, np.full(len(ids), -np.inf))
-            if n in seeds:
-                first.add(*seeds[n])
-            started[n] = (ids, mat, first.floors)
+            if (n, False) in seeds:
+                first.add(*seeds[n, False])
+            started[n, huge] = (ids, mat, first.floors)
         sent = spark.sparkContext.broadcast(started)
 
         def scan(batches, sent=sent):
-            best = {n: Best(ids, mat, k, floors) for n, (ids, mat, floors) in sent.value.items()}
+            best = {key: Best(ids, mat, k, floors) for key, (ids, mat, floors) in sent.value.items()}
             for pdf in batches:
-                for n, (ids, mat) in _stacked(zip(pdf["vec_id"], pdf["vector"], strict=True)).items():
-                    if n in best:
+                for (n, _), (ids, mat) in _stacked(zip(pdf["vec_id"], pdf["vector"], strict=True)).items():
+                    for asked_for in (best[key] for key in ((n, False), (n, True)) if key in best):
                         for a in range(0, len(ids), BATCH):
-                            best[n].add(ids[a : a + BATCH], mat[a : a + BATCH])
+                            asked_for.add(ids[a : a + BATCH], mat[a : a + BATCH])
             for x in best.values():
                 yield x.rows()
 
-        partial.append(candidates.mapInPandas(scan, schema))
+        partial.append(written(candidates.mapInPandas(scan, schema), "topk-best", owner))
+        sent.destroy()
     found = partial[0]
     for x in partial[1:]:
         found = found.unionByName(x)

@@ -191,6 +191,21 @@ def test_top_k_against_all_products(spark):
     assert sorted(got) == sorted(want)
 
 
+def test_top_k_of_huge_components(spark):
+    """Components whose floors or products pass 64 bits: scores at the ends of a long, the rest exact."""
+    data = [(1, [3e38, 0.0]), (2, [1e20, 1.0]), (3, [-1e20, 2.0]), (4, [1.0, 1.0]), (5, [2.0**60, -3.0]), (6, [0.5, 0.25]), (7, [2.0, -1e30])]
+    df = spark.createDataFrame(data, "vec_id long, embedding array<double>").select("vec_id", topk.integer_vector(F.col("embedding")).alias("vector")).repartition(3)
+    whole = {i: [math.floor(1024 * x) for x in v] for i, v in data}
+    assert {r.vec_id: [int(x) for x in r.vector] for r in df.collect()} == whole
+    top = 2**63 - 1
+    want = []
+    for q, v in whole.items():
+        best = sorted((-max(-top, min(top, sum(a * b for a, b in zip(v, c, strict=True)))), i) for i, c in whole.items() if i != q)[:4]
+        want += [(q, n + 1, i, -s) for n, (s, i) in enumerate(best)]
+    got = [(r.query_id, r["rank"], r.vec_id, r.score) for r in topk.top_k(df, df, 4, query_block=3).collect()]
+    assert sorted(got) == sorted(want)
+
+
 def test_top_k_of_large_components_is_exact():
     q, c = np.array([[2.0**40, 1.0]]), np.array([[2.0**20, 3.0]])
     assert topk.exact_scores(q, c, np.array([0]), np.array([0]))[0] == 2**60 + 3
@@ -208,6 +223,25 @@ def test_urls(spark):
     assert [(r.host, r.path, r.rule, r.verdict) for r in got] == [r[1:] for r in rows for _ in range(2)]
 
 
+def test_urls_of_any_length_and_long_lists(spark):
+    """Hosts of many labels, paths and rules of any length, against plain comparison."""
+    rng = np.random.default_rng(3)
+    part = lambda n: "".join(rng.choice(list("ab/"), n))
+    rules = [("block", f"{h}/{part(int(n))}") for h in ("a", "b.a", "a.b", "x." * 70 + "a") for n in rng.integers(0, 12, 12)]
+    rules += [("allow", "a/" + "p" * 5000), ("block", "a/" + "p" * 4000), ("block", "a/" + "p" * 1200 + "q"), ("block", "nopath"), ("block", "/nohost"), ("allow", None)]
+    urls_of = [f"http://{h}/{part(int(n))}?x" for h in ("a", "b.a", "c.b.a", "a.b", "ba") for n in rng.integers(0, 14, 12)]
+    urls_of += ["http://a/" + "p" * n for n in (10, 1200, 4000, 6000)] + ["http://a/" + "p" * 1200 + "qq", "http://" + "x." * 70 + "a/ab", "http://" + "y." * 80 + "b.a/b", "http://" + "z." * 20_000 + "a/b/", None, "http://ü.a/ä"]
+    df = spark.createDataFrame([(n, u) for n, u in enumerate(urls_of)], "page_id long, url string").repartition(3)
+    listed = {}
+    for v, r in rules:
+        if r and r.find("/") > 0:
+            listed[r] = min(v, listed.get(r, v))
+    for r in urls.judge(df, spark.createDataFrame(rules, "verdict string, rule string")).collect():
+        fits = [x for x in listed if r.path.startswith(x[x.index("/") :]) and ("." + r.host).endswith("." + x[: x.index("/")])]
+        best = max(fits, key=len, default=None)
+        assert (r.rule, r.verdict) == (best, listed.get(best, "allow"))
+
+
 def test_token_counts_and_splices(docs):
     path = vocabulary("word_bpe_49k.json")
     tok = tokens.tokenizer(path)[0]
@@ -251,6 +285,65 @@ def test_packing_round_trip(docs):
     assert sum(r.length for r in rows) == sum(n * c for (_, n), c in want.items())
 
 
+def test_packing_keeps_large_and_null_ids(spark):
+    rows = [(2**53 + 1, "a b", 1), (None, "c", None), (2**62 + 3, None, 0), (-5, "d", 2)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, loss_from long").coalesce(1)
+    got = packing.packed(df, vocabulary("byte_bpe_50k.json")).collect()
+    assert Counter(r.doc_id for r in got) >= Counter(i for i, _, _ in rows)
+    assert all(r.loss_tokens == r.length for r in got)  # a column that is not named plays no part
+    masked = packing.packed(df, vocabulary("byte_bpe_50k.json"), loss_from="loss_from").collect()
+    assert sum(r.length - r.loss_tokens for r in masked) == 3
+
+
+def test_heuristic_step_finds_the_largest_product():
+    rng = np.random.default_rng(5)
+    for _ in range(200):
+        packer = packing.Packer(2048, 8, 300, 64)
+        pieces = []
+        for d in range(12):
+            n = int(rng.integers(1, 2048))
+            loss = (np.arange(n) >= int(rng.integers(0, n + 1))).astype(np.int64)
+            pieces.append(packing.Piece(d, 0, np.arange(n, dtype=np.uint32), n, loss))
+            packer._hold(pieces[-1])
+        last = {}
+        for p in pieces:  # the newest of each kind is what a step looks at
+            last[packer._kind(len(p.ids)), int(p.loss.sum()) * (packing.SHARES - 1) // len(p.ids)] = p
+        left = np.array([int(rng.integers(1, 2048)), 4, int(rng.integers(1, 300))])
+        share = left / np.array([2048, 8, 300])
+        fits = [float(share @ (len(p.ids) / 2048, 1 / 8, p.loss.sum() / 300)) for p in last.values() if len(p.ids) <= left[0] and p.loss.sum() <= left[2]]
+        found = packer._step(left)
+        assert (found is None) == (not fits)
+        if fits:
+            assert share @ (len(found.ids) / 2048, 1 / 8, found.loss.sum() / 300) == pytest.approx(max(fits))
+
+
+def test_rows_keep_columns_of_any_name(spark):
+    """Extra columns named like the helpers of the operators come back with their values."""
+    names = ["_id", "_none", "_sha", "_times", "_n", "row", "same", "key", "times", "turn", "name", "rep", "node", "component_id", "score", "held_out"]
+    rows = [(n, t, "s", *[f"{c}{n}" for c in names]) for n, t in enumerate(["a b c", "A b c", "d", "one two three", None])]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, " + ", ".join(f"`{c}` string" for c in names))
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    for found in (naming.deduplicated(df), jaccard.one_of_each_group(df), mixing.mixed_documents(df), toxicity.clean_documents(df, labels)):
+        got = found.collect()
+        assert found.columns == df.columns and got
+        assert all(r[c] == f"{c}{r.doc_id}" for r in got for c in names)
+
+
+def test_mixed_rows_that_share_an_id_are_apart(spark):
+    rows = [(1, "a b c d", "x"), (1, "e", "y"), (2, "f g", "x"), (None, "h i", "y"), (None, "j", "y")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    want = Counter()
+    for r in mixing._mix(df, 17, "session").collect():
+        text = next(t for i, t, s in rows if i == r.doc_id and s == r.source and len(t.split()) == r.size)
+        want[r.doc_id, text] += int(r.taken / r.size + 0.5)
+    assert Counter((r.doc_id, r.text) for r in mixing.mixed_documents(df).collect()) == +want
+
+
+def test_names_do_not_depend_on_partitions(docs):
+    a, b = (sorted((str(r.doc_id), r.text_sha256, str(r.identity)) for r in naming.identities(docs.repartition(n), 100).collect()) for n in (2, 7))
+    assert a == b
+
+
 def test_rank_file_and_library_agree(spark, small):
     import public_tokenizers
 
