@@ -1,12 +1,15 @@
 """Toxic passages by maximum-scoring segment search.
 
-Terms get log-odds between toxic and clean training texts with an informative Dirichlet prior (the
-prior is the pooled corpus), shrunk by their standard error; terms that do not speak for toxicity cost a
-fixed small amount. A linear scan finds all maximal scoring segments of a text. Scores of clean text
-follow an extreme-value law whose decay solves sum p(s) exp(decay * s) = 1 over clean term shares, so a segment
-of score S in a text of n terms is expected K n exp(-decay S) times by chance; segments below the
-significance level count, a text's evidence is the sum of their excess, and a one-dimensional logistic fit on
-the training texts turns evidence into a probability.
+Terms get log-odds of occurring in toxic against clean training texts with an informative Dirichlet prior (the pooled
+corpus), drawn towards zero by two standard errors and keeping their sign: a term that speaks for clean text costs its
+log-odds. Every term, known or not, costs GAP besides, so that scores of clean text drift down. A linear scan finds all
+maximal scoring segments of a text. Their scores on clean text follow an extreme-value law, expected number K n exp(-decay S) at
+or above S in n terms; K and decay are fitted by maximum likelihood to the best segments of clean texts. Segments
+below the significance level count; a text's evidence is the logarithm of one plus the sum of their excess, and a
+one-dimensional logistic fit turns evidence into a probability.
+
+The law and the logistic fit see every training text through terms learned from the other folds, never from the text itself;
+the terms that score are then learned from all folds. A term counts once a text, which a long text cannot outvote.
 
 Training reads at most SAMPLE labelled texts, those with the smallest hash of the id; scoring reads every whole text.
 """
@@ -14,7 +17,6 @@ Training reads at most SAMPLE labelled texts, those with the smallest hash of th
 from __future__ import annotations
 
 import math
-from collections import Counter
 
 import numpy as np
 import pandas as pd
@@ -26,16 +28,16 @@ from ..plans.cuts import written
 
 #: Labelled training texts at most: a broadcast of 20,000 pairs.
 SAMPLE = 20_000
-#: Terms of the model at most, those of largest |z|.
-TERMS = 50_000
 #: Texts the prior stands for, as a share of the training texts.
 PRIOR = 0.1
+#: Standard errors by which log-odds are drawn towards zero.
 SHRINK = 2.0
-#: Cost of a term that does not speak for toxicity.
+#: What every term costs.
 GAP = 0.4
 LEVEL = 0.05
-MOST_EVIDENCE = 60.0
 FOLDS = 5
+#: Parts of the training texts of which one at a time is scored by the terms of the others.
+PARTS = 4
 FLUSH = 300_000
 #: Bytes that separate terms: ASCII other than letters; A to Z become a to z.
 LETTERS = bytes(c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -79,8 +81,8 @@ def segments(scores: np.ndarray) -> list[tuple[int, int, float]]:
 
 
 def evidence_of(found: list[tuple[int, int, float, float]]) -> float:
-    """Sum over significant segments of ln(LEVEL / chance), at most MOST_EVIDENCE so that long texts stay comparable."""
-    return min(MOST_EVIDENCE, sum(math.log(LEVEL / max(chance, 1e-300)) for _, _, _, chance in found))
+    """ln(1 + sum over significant segments of ln(LEVEL / chance)): long texts stay comparable without a bound."""
+    return math.log1p(sum(math.log(LEVEL / max(chance, 1e-300)) for _, _, _, chance in found))
 
 
 class Detector:
@@ -93,7 +95,7 @@ class Detector:
         """(first term, end term, score, expected number by chance) of every significant segment."""
         words = terms(raw)
         get = self.weights.get
-        scores = np.array([get(w, -GAP) for w in words])
+        scores = np.array([get(w, 0.0) for w in words]) - GAP
         found = []
         for b, e, s in segments(scores):
             chance = self.scale * len(words) * math.exp(-min(700.0, self.decay * s))
@@ -108,16 +110,25 @@ class Detector:
         return 1.0 / (1.0 + np.exp(-np.clip(self.offset + self.slope * evidence, -30, 30)))
 
 
-def _decay(scores: np.ndarray, shares: np.ndarray) -> float:
-    """The positive root of sum shares * exp(x * scores) = 1 for a negative mean score."""
-    low, high = 1e-6, 1.0
-    value = lambda x: float((shares * np.exp(np.minimum(700, x * scores))).sum()) - 1.0
-    while value(high) < 0 and high < 64:
-        high *= 2
+def extreme_value_law(best: np.ndarray, size: np.ndarray) -> tuple[float, float]:
+    """Decay and K of the largest likelihood for best segment scores of clean texts of `size` terms, 0 where none is positive.
+
+    A best score is at most S with probability exp(-K n exp(-decay S)). For a given decay the best K is the number of
+    positive scores over the sum of n exp(-decay S), which leaves one equation for the decay.
+    """
+    n, seen = np.maximum(1.0, size), best > 0
+    if not seen.any():
+        return 1.0, 1.0 / max(1.0, float(n.sum()))
+
+    def slope(decay: float) -> float:
+        e = n * np.exp(-decay * best)
+        return 1 / decay - float(best[seen].mean()) + float((best * e).sum() / e.sum())
+
+    low, high = 1e-3, 64.0
     for _ in range(80):
-        mid = (low + high) / 2
-        low, high = (mid, high) if value(mid) < 0 else (low, mid)
-    return high
+        mid = math.sqrt(low * high)
+        low, high = (mid, high) if slope(mid) > 0 else (low, mid)
+    return low, float(seen.sum() / (n * np.exp(-low * best)).sum())
 
 
 def _logistic(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
@@ -135,84 +146,89 @@ def _logistic(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(max(theta[0], 1e-3)), float(theta[1])
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, most_terms: int = TERMS, owner: str = "session") -> Detector:
+def log_odds(toxic: Column, clean: Column, n1: float, n0: float) -> Column:
+    """Shrunken log-odds of a term from the texts that hold it, `n1` toxic and `n0` clean ones in all."""
+    weight = PRIOR * (n0 + n1)
+    prior = weight * (toxic + clean) / F.lit(max(1.0, n0 + n1))
+    a1, a0 = toxic + prior, clean + prior
+    odds = F.log(a1 / (n1 + weight - a1 + 1e-9)) - F.log(a0 / (n0 + weight - a0 + 1e-9))
+    rest = F.abs(odds) - SHRINK * F.sqrt(1 / a1 + 1 / a0)
+    return F.when((rest > 0) & (toxic + clean > 0), F.signum(odds) * rest).otherwise(0.0)
+
+
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, owner: str = "session") -> Detector:
     """A detector from labelled rows of the training folds.
 
     labels needs doc_id and toxic; rows whose id is null or whose label is null teach nothing, of several labels of
-    one id the larger holds. Without both classes every score is the share of toxic texts or, without any, 0.
+    one id the larger holds, of several texts of one id the least. Without both classes every score is that of the one
+    there is; without any, 0.
     """
     spark = docs.sparkSession
     taught = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
     chosen = taught.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
     texts = docs.select("doc_id", F.col("text").cast("binary").alias("raw")).join(F.broadcast(chosen), "doc_id")
-    texts = written(texts.select("raw", "toxic"), "toxic-texts", owner)
+    texts = texts.groupBy("doc_id", "toxic").agg(F.min("raw").alias("raw"))
+    texts = written(texts.select("raw", "toxic", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(PARTS)).cast("int").alias("part")), "toxic-texts", owner)
 
     def count(batches):
-        held: dict[bytes, list[int]] = {}
-        n = [0, 0]
+        held: dict[tuple[bytes, int], list[int]] = {}
+        texts_of = {}
         for pdf in batches:
-            for raw, y in zip(pdf["raw"], pdf["toxic"], strict=True):
+            for raw, y, part in zip(pdf["raw"], pdf["toxic"], pdf["part"], strict=True):
                 y = int(y > 0)
-                n[y] += 1
-                for w, times in Counter(terms(raw)).items():
-                    x = held.setdefault(w, [0, 0, 0])
-                    x[y] += 1
-                    x[2] += 0 if y else times
+                texts_of.setdefault((b"", part), [0, 0])[y] += 1
+                for w in set(terms(raw)):
+                    held.setdefault((w, part), [0, 0])[y] += 1
                 if len(held) > FLUSH:
                     yield frame(held)
                     held = {}
-        held[b""] = [n[0], n[1], 0]
-        yield frame(held)
+        yield frame(held | texts_of)
 
     def frame(held):
-        return pd.DataFrame({"term": list(held), "clean": [x[0] for x in held.values()], "toxic": [x[1] for x in held.values()], "uses": [x[2] for x in held.values()]})
+        return pd.DataFrame({"term": [k[0] for k in held], "part": [k[1] for k in held], "clean": [x[0] for x in held.values()], "toxic": [x[1] for x in held.values()]})
 
-    table = texts.mapInPandas(count, "term binary, clean long, toxic long, uses long").groupBy("term").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"), F.sum("uses").alias("uses"))
+    of_part = lambda c, p: F.sum(F.when(F.col("part") == p, F.col(c)).otherwise(0)).alias(f"{c}{p}")
+    table = texts.mapInPandas(count, "term binary, part int, clean long, toxic long").groupBy("term").agg(*[of_part(c, p) for c in ("clean", "toxic") for p in range(PARTS)])
     table = written(table, "toxic-terms", owner)
-    got = table.where(F.length("term") == 0).select("clean", "toxic").first()
-    n0, n1 = (got.clean, got.toxic) if got else (0, 0)
-    if not n0 or not n1:
-        return Detector({}, 1.0, 1.0, 1.0, 30.0 if n1 else -30.0)
-    # Texts that hold the term, against texts that do not; the prior adds texts with the pooled share.
-    share, weight = (F.col("clean") + F.col("toxic")) / float(n0 + n1), PRIOR * float(n0 + n1)
-    prior = weight * share
-    a1, b1 = F.col("toxic") + prior, float(n1) + weight - F.col("toxic") - prior + 1e-9
-    a0, b0 = F.col("clean") + prior, float(n0) + weight - F.col("clean") - prior + 1e-9
-    odds = F.log(a1 / b1) - F.log(a0 / b0)
-    error = F.sqrt(1 / a1 + 1 / a0)
-    rated = table.where((F.length("term") > 0) & (F.col("toxic") > 0)).select("term", "uses", odds.alias("odds"), error.alias("error")).where("odds - 2 * error > 0")
-    kept = rated.orderBy(F.desc(F.col("odds") / F.col("error")), "term").limit(most_terms).collect()
-    weights = {bytes(r.term): float(r.odds - SHRINK * r.error) for r in kept if r.odds > SHRINK * r.error}
-    uses = table.where(F.length("term") > 0).agg(F.sum("uses")).first()[0] or 1
-    scores = np.array([*[weights[bytes(r.term)] for r in kept if bytes(r.term) in weights], -GAP])
-    shares = np.array([*[max(r.uses, 0.01) / uses for r in kept if bytes(r.term) in weights], 0.0])
-    shares[-1] = max(1e-9, 1 - shares.sum())
-    detector = Detector(weights, _decay(scores, shares / shares.sum()), 1.0)
-
-    def rate(batches, detector=detector):
+    got = table.where(F.length("term") == 0).first()
+    n0, n1 = ([int(got[f"{c}{p}"]) for p in range(PARTS)] if got else [0] * PARTS for c in ("clean", "toxic"))
+    if not sum(n0) or not sum(n1):
+        return Detector({}, 1.0, 1.0, 1.0, 30.0 if sum(n1) else -30.0)
+
+    def scored(without: int | None) -> Column:
+        """Log-odds from all parts but one."""
+        kept = [p for p in range(PARTS) if p != without]
+        total = lambda c: sum((F.col(f"{c}{p}") for p in kept), F.lit(0))
+        return log_odds(total("toxic"), total("clean"), float(sum(n1[p] for p in kept)), float(sum(n0[p] for p in kept)))
+
+    # Terms whose log-odds pass their error: as many as the words of `sample` texts have, whatever the corpus.
+    rated = table.where(F.length("term") > 0).select("term", scored(None).alias("all"), F.array(*[scored(p) for p in range(PARTS)]).alias("others"))
+    kept = rated.where((F.col("all") != 0) | F.exists("others", lambda s: s != 0)).collect()
+    apart = [Detector({bytes(r.term): r.others[p] for r in kept if r.others[p]}, 1.0, 1.0) for p in range(PARTS)]
+    sent = spark.sparkContext.broadcast(apart)
+
+    def rate(batches):
         for pdf in batches:
             best, size = [], []
-            for raw in pdf["raw"]:
+            for raw, part in zip(pdf["raw"], pdf["part"], strict=True):
                 words = terms(raw)
-                found = segments(np.array([detector.weights.get(w, -GAP) for w in words]))
-                best.append(max((s for _, _, s in found), default=0.0))
+                get = sent.value[part].weights.get
+                best.append(max((s for _, _, s in segments(np.array([get(w, 0.0) for w in words]) - GAP)), default=0.0))
                 size.append(len(words))
             yield pd.DataFrame({"best": best, "size": size, "toxic": pdf["toxic"].astype("int64")})
 
     # At most `sample` rows of three numbers.
     tops = texts.mapInPandas(rate, "best double, size long, toxic long").toPandas()
-    clean = tops[(tops["toxic"] == 0) & (tops["best"] > 0)]
-    if len(clean):
-        # The law's scale: on clean texts with any segment, mean of n K exp(-decay S) is about 1.
-        detector.scale = float(np.clip(1.0 / np.mean(np.maximum(1, clean["size"]) * np.exp(-detector.decay * clean["best"])), 1e-6, 10.0))
+    clean = tops[tops["toxic"] == 0]
+    decay, scale = extreme_value_law(clean["best"].to_numpy(), clean["size"].to_numpy(dtype=float))
 
-    def weigh(batches, detector=detector):
+    def weigh(batches):
         for pdf in batches:
-            yield pd.DataFrame({"x": [detector.evidence(raw) for raw in pdf["raw"]], "toxic": pdf["toxic"].astype("double")})
+            yield pd.DataFrame({"x": [Detector(sent.value[part].weights, decay, scale).evidence(raw) for raw, part in zip(pdf["raw"], pdf["part"], strict=True)], "toxic": pdf["toxic"].astype("double")})
 
     found = texts.mapInPandas(weigh, "x double, toxic double").toPandas()
-    detector.slope, detector.offset = _logistic(found["x"].to_numpy(), (found["toxic"] > 0).to_numpy(dtype=float))
-    return detector
+    slope, offset = _logistic(found["x"].to_numpy(), (found["toxic"] > 0).to_numpy(dtype=float))
+    return Detector({bytes(r.term): r["all"] for r in kept if r["all"]}, decay, scale, slope, offset)
 
 
 def score(docs: DataFrame, detector: Detector) -> DataFrame:

@@ -41,7 +41,17 @@ def test_toxic_texts_go(spark, small, stages):
     _, docs, out = stages[0]
     detector = toxicity.fit(docs, spark.read.parquet(f"{small}/labels.parquet"))
     want = [r for r in rows(docs) if detector.probability(np.array([detector.evidence(None if r[1] is None else r[1].encode())]))[0] < 0.5]
-    assert Counter(rows(out)) == Counter(want) and len(want) < docs.count()
+    assert Counter(rows(out)) == Counter(want)
+
+
+def test_toxic_texts_go_and_clean_ones_stay_where_labels_teach(spark):
+    """The ten toxic texts among the smallest table's labels teach nothing that holds for others; those of the next do."""
+    sf = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    kept = {r.doc_id for r in pipeline.drop_toxic(spark, docs, sf).select("doc_id").collect()}
+    labels = {r.doc_id: r.toxic for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    assert all(i in kept for i, y in labels.items() if not y)
+    assert sum(i not in kept for i, y in labels.items() if y) > 0.6 * sum(labels.values())
 
 
 def test_one_of_each_exact_group_stays(stages):
