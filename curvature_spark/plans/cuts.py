@@ -34,25 +34,31 @@ def shared_dir(spark: SparkSession) -> str:
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
+#: Rows that a Python worker receives at once: texts are long.
+BATCH, BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", "2000"
+
+
 @contextmanager
-def _shuffles_removed(spark: SparkSession) -> Iterator[None]:
+def _writing(spark: SparkSession) -> Iterator[None]:
     """While a table is written: its shuffle files go when it is there, not when the driver happens to collect garbage."""
-    before = spark.conf.get(CLEANUP, None)
+    before = {key: spark.conf.get(key, None) for key in (CLEANUP, BATCH)}
     spark.conf.set(CLEANUP, "true")
+    spark.conf.set(BATCH, BATCH_ROWS)
     try:
         yield
     finally:
-        if before is None:
-            spark.conf.unset(CLEANUP)
-        else:
-            spark.conf.set(CLEANUP, before)
+        for key, value in before.items():
+            if value is None:
+                spark.conf.unset(key)
+            else:
+                spark.conf.set(key, value)
 
 
 def written(df: DataFrame, tag: str, owner: str = "session") -> DataFrame:
     """`df` as a written table: computed once here, read from shared storage by every later plan."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/tables/{tag}-{uuid.uuid4().hex}"
-    with _shuffles_removed(spark):
+    with _writing(spark):
         df.write.parquet(path)
     _LIVE.setdefault(owner, []).append((spark, path))
     return spark.read.schema(df.schema).parquet(path)
