@@ -82,7 +82,7 @@ class Piece:
 def longest_fit(piece: Piece, tokens: int, loss: int) -> int:
     """Ids from the front of `piece` that fit the tokens and loss-bearing tokens left."""
     n = min(tokens, len(piece.ids))
-    bearing = np.cumsum(piece.loss[:n])
+    bearing = np.cumsum(piece.loss[:n], dtype=np.int64)
     return n if not n or bearing[-1] <= loss else int(np.searchsorted(bearing, loss, side="right"))
 
 
@@ -219,7 +219,7 @@ def packed(docs: DataFrame, path: str, ranks: str | None = None, pattern: str |
                 types[:] = [batch.column("doc_id").type]
                 for doc, text, bears in zip(batch.column("doc_id"), batch.column("text"), batch.column("first").to_pylist(), strict=True):
                     ids = np.append(ids_for(text.as_py()), np.uint32(END_ID))
-                    yield Piece(doc.as_py(), 0, ids, len(ids), (np.arange(len(ids)) >= bears).astype(np.int64))
+                    yield Piece(doc.as_py(), 0, ids, len(ids), (np.arange(len(ids)) >= bears).astype(np.int8))
 
         made: list[tuple] = []
         for n, sequence in enumerate(pack(examples(), length, segments, loss)):
@@ -227,7 +227,7 @@ def packed(docs: DataFrame, path: str, ranks: str | None = None, pattern: str |
             for p in sequence:
                 made.append((p.doc, p.start, len(p.ids), zlib.crc32(p.ids.astype("<u4").tobytes()), p.total, int(p.loss.sum()), base + n, at, total))
                 at += len(p.ids)
-            if len(made) >= 10_000:
+            if len(made) >= 2_000:
                 yield frame(made, types[0])
                 made = []
         if made:

@@ -38,7 +38,8 @@ LEVEL = 0.05
 FOLDS = 5
 #: Parts of the training texts of which one at a time is scored by the terms of the others.
 PARTS = 4
-FLUSH = 300_000
+#: Distinct terms a counting task holds before it sends their counts on.
+FLUSH = 50_000
 #: Bytes that separate terms: ASCII other than letters; A to Z become a to z.
 LETTERS = bytes(c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
@@ -171,24 +172,26 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, owner: str = "
     texts = written(texts.select("raw", "toxic", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(PARTS)).cast("int").alias("part")), "toxic-texts", owner)
 
     def count(batches):
-        held: dict[tuple[bytes, int], list[int]] = {}
-        texts_of = {}
-        for pdf in batches:
-            for raw, y, part in zip(pdf["raw"], pdf["toxic"], pdf["part"], strict=True):
-                y = int(y > 0)
-                texts_of.setdefault((b"", part), [0, 0])[y] += 1
-                for w in set(terms(raw)):
-                    held.setdefault((w, part), [0, 0])[y] += 1
-                if len(held) > FLUSH:
-                    yield frame(held)
-                    held = {}
-        yield frame(held | texts_of)
-
-    def frame(held):
-        return pd.DataFrame({"term": [k[0] for k in held], "part": [k[1] for k in held], "clean": [x[0] for x in held.values()], "toxic": [x[1] for x in held.values()]})
+        held: list[dict[bytes, int]] = [{} for _ in range(2 * PARTS)]  # by part and label; the empty term counts texts
+        for batch in batches:
+            for raw, y, part in zip(batch.column("raw"), batch.column("toxic").to_pylist(), batch.column("part").to_pylist(), strict=True):
+                own = held[2 * part + (y > 0)]
+                own[b""] = own.get(b"", 0) + 1
+                for w in set(terms(raw.as_py())):
+                    own[w] = own.get(w, 0) + 1
+                if len(own) > FLUSH:
+                    yield counted(part, y > 0, own)
+                    own.clear()
+        for n, own in enumerate(held):
+            if own:
+                yield counted(n // 2, n % 2 > 0, own)
+
+    def counted(part, toxic, own):
+        n, none = pa.array(list(own.values()), pa.int64()), pa.array(np.zeros(len(own), dtype=np.int64))
+        return pa.RecordBatch.from_arrays([pa.array(list(own), pa.binary()), pa.array(np.full(len(own), part, dtype=np.int32)), none if toxic else n, n if toxic else none], ["term", "part", "clean", "toxic"])
 
     of_part = lambda c, p: F.sum(F.when(F.col("part") == p, F.col(c)).otherwise(0)).alias(f"{c}{p}")
-    table = texts.mapInPandas(count, "term binary, part int, clean long, toxic long").groupBy("term").agg(*[of_part(c, p) for c in ("clean", "toxic") for p in range(PARTS)])
+    table = texts.mapInArrow(count, "term binary, part int, clean long, toxic long").groupBy("term").agg(*[of_part(c, p) for c in ("clean", "toxic") for p in range(PARTS)])
     table = written(table, "toxic-terms", owner)
     got = table.where(F.length("term") == 0).first()
     n0, n1 = ([int(got[f"{c}{p}"]) for p in range(PARTS)] if got else [0] * PARTS for c in ("clean", "toxic"))
