@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from curvature_spark.llm import jaccard, mixing, naming, packing, toxicity
 from curvature_spark.llm.queries import vocabulary
-from curvature_spark.plans.cuts import release, shared_dir
+from curvature_spark.plans.cuts import release, written
 from curvature_spark.sources.catalog import load
 
 OWNER = "pipeline"
@@ -64,10 +64,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The stages over `documents`, each but the last written and read again."""
-    docs = load(spark, sf_dir, "documents")
-    for _, stage in STAGES[:-1]:
-        path = f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
-        stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+    """The stages over `documents`, each but the last written and read again; a stage's table goes when the next one's is there."""
+    docs, before = load(spark, sf_dir, "documents"), None
+    for number, (_, stage) in enumerate(STAGES[:-1]):
+        mine = f"{OWNER}-{uuid.uuid4().hex}"
+        docs = written(stage(spark, docs, sf_dir), f"stage-{number}", mine)
+        if before:
+            release(before)
+        before = mine
     return STAGES[-1][1](spark, docs, sf_dir)
