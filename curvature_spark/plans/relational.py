@@ -314,29 +314,35 @@ def udtf_sparse_to_rows(spark, sf):
     return rows.select("vec_id", "pos", F.round("v", 6).alias("v"))
 
 
-@entry("SELECT label, count(*) AS n, round(sum(CAST(embedding[1] AS DOUBLE) * embedding[2]), 4) AS h01 FROM embeddings GROUP BY label")
+@entry(
+    "WITH v AS (SELECT vec_id, label, unnest(range(64)) AS i, unnest(embedding)::DOUBLE AS a FROM embeddings) "
+    "SELECT v.label, CAST(w.i * (w.i + 1) // 2 + v.i AS INTEGER) AS pos, count(*) AS n, round(sum(v.a * w.a), 4) + 0.0 AS h FROM v JOIN v w ON v.vec_id = w.vec_id AND v.i <= w.i GROUP BY ALL"
+)
 def arrow_udf_hessian(spark, sf):
-    """Outer-product sums per label from Arrow batches, partial per task."""
+    """Packed outer-product sums of all components per label from Arrow batches, partial per task."""
 
     def work(batches):
         import pyarrow as pa
 
-        held: dict[int, np.ndarray] = {}
+        from curvature_spark.functions import packed
+
+        held: dict[int, list] = {}
         for batch in batches:
             z = batch.column("embedding").flatten().to_numpy(zero_copy_only=False).astype(float).reshape(batch.num_rows, -1)
             labels = batch.column("label").to_numpy(zero_copy_only=False)
             for v in np.unique(labels):
                 part = z[labels == v]
-                held[int(v)] = held.get(int(v), np.zeros(2)) + np.array([len(part), part[:, 0] @ part[:, 1]])
-        if held:
-            yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), pa.array([int(x[0]) for x in held.values()]), pa.array([x[1] for x in held.values()])], ["label", "n", "h"])
+                own = held.setdefault(int(v), [0, 0.0])
+                held[int(v)] = [own[0] + len(part), own[1] + packed.pack(part.T @ part)]
+        for label, (n, h) in held.items():
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), label, dtype=np.int32)), pa.array(np.arange(len(h), dtype=np.int32)), pa.array(np.full(len(h), n)), pa.array(h)], ["label", "pos", "n", "h"])
 
-    parts = load(spark, sf, "embeddings").select("label", "embedding").mapInArrow(work, "label int, n long, h double")
-    return parts.groupBy("label").agg(F.sum("n").alias("n"), F.round(F.sum("h"), 4).alias("h01"))
+    parts = load(spark, sf, "embeddings").select("label", "embedding").mapInArrow(work, "label int, pos int, n long, h double")
+    return parts.groupBy("label", "pos").agg(F.sum("n").alias("n"), (F.round(F.sum("h"), 4) + 0.0).alias("h"))
 
 
 def register_functions(spark: SparkSession) -> None:
-    """The SQL names of the kernels: hs_topk, hs_windowk, hs_pack."""
+    """The SQL names of the kernels: hs_topk, hs_windowk, hs_pack, hs_grad."""
     from ..functions import packed
     from ..operators import compressors
 
@@ -350,6 +356,34 @@ def register_functions(spark: SparkSession) -> None:
     for kind in ("topk", "windowk"):
         spark.udf.register(f"hs_{kind}", kernel(kind), "array<double>")
     spark.udf.register("hs_pack", lambda v: packed.pack(np.outer(v, v)).tolist(), "array<double>")
+    spark.udf.register("hs_grad", LogisticGradient())
+
+
+def LogisticGradient():  # noqa: N802  a factory of the registered function
+    """hs_grad(features, label, x): a row's share of the logistic gradient at x, batch by batch."""
+    import pandas as pd
+
+    @F.pandas_udf("array<double>")
+    def gradient(z: pd.Series, label: pd.Series, x: pd.Series) -> pd.Series:
+        rows, at = np.stack(z.to_list()) * label.to_numpy()[:, None], np.stack(x.to_list())
+        e = np.exp(-np.abs(m := (rows * at).sum(axis=1)))
+        return pd.Series(list(-rows * (np.where(m >= 0, e, 1.0) / (1.0 + e))[:, None]))
+
+    return gradient
+
+
+@entry(
+    "WITH e AS (SELECT user_id, CASE WHEN event_type = 'purchase' THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END AS y, [value / 500, CAST(json_extract_string(props, '$.k') AS DOUBLE) / 100, hour(ts) / 24.0::DOUBLE, dayofweek(ts) / 7.0::DOUBLE, 1.0::DOUBLE] AS a FROM events), "
+    "m AS (SELECT *, y * (0.1 * a[1] - 0.2 * a[2] + 0.3 * a[3] - 0.4 * a[4] + 0.5) AS m FROM e) SELECT user_id, "
+    + ", ".join(f"round(avg(-y * a[{i}] / (1 + exp(m))), 6) + 0.0 AS g{i}" for i in range(1, 6))
+    + " FROM m GROUP BY user_id"
+)
+def sql_gradient(spark, sf):
+    """Every user's logistic gradient at one point, in SQL on the registered function."""
+    register_functions(spark)
+    features.users(spark, sf).select("user_id", "label", "features").createOrReplaceTempView("hs_samples")
+    means = ", ".join(f"round(avg(g[{i}]), 6) + 0.0 AS g{i + 1}" for i in range(5))
+    return spark.sql(f"SELECT user_id, {means} FROM (SELECT user_id, hs_grad(features, label, array(0.1D, -0.2D, 0.3D, -0.4D, 0.5D)) AS g FROM hs_samples) GROUP BY user_id")
 
 
 @entry("SELECT vec_id, CAST(4 AS BIGINT) AS kept FROM embeddings")
