@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 from ..plans.cuts import written
 from .components import components
 from .hot import hot_join
+from .memory import lean
 
 #: Slots of the table of word counts: at most 262,144 numbers on the driver.
 SKETCH_BITS = 18
@@ -42,7 +43,7 @@ DRAWN_TURNS = (1, 2)
 #: Bits of the filter of documents whose sets are wanted (1 MB); fuller filters pass more, never less.
 WANTED_BITS = 23
 #: Bytes of text hashed at once; longer texts are hashed piece by piece, cut at white space.
-PIECE = 1 << 20
+PIECE = 1 << 17
 U = np.uint64
 #: One random 64-bit number a byte value, and an odd base: a word's hash is a polynomial over its bytes.
 BYTE_VALUES = np.random.default_rng(20240101).integers(0, 1 << 63, 256, dtype=np.uint64) * U(2) + U(1)
@@ -179,7 +180,7 @@ def _base(docs: DataFrame, n: int, owner: str) -> DataFrame:
         at = np.nonzero(counts)[0]
         yield pa.RecordBatch.from_arrays([pa.nulls(len(at), kinds[0]), pa.array(np.full(len(at), -1), kinds[1]), pa.nulls(len(at), kinds[2]), pa.array(at, kinds[3]), pa.array(counts[at], kinds[4])], names)
 
-    return written(_raw(docs).mapInArrow(work, "doc_id long, n long, digest binary, slot int, hits long"), "jaccard-base", owner)
+    return written(_raw(docs).mapInArrow(lean(work), "doc_id long, n long, digest binary, slot int, hits long"), "jaccard-base", owner)
 
 
 def _sketch_ranks(base: DataFrame) -> np.ndarray:
@@ -213,7 +214,7 @@ def _sets_of(docs: DataFrame, nodes: DataFrame, n: int, owner: str) -> DataFrame
             yield pa.RecordBatch.from_arrays([part.column("node"), pa.array(sets, pa.binary()), pa.array([hashlib.blake2b(s, digest_size=16).digest() for s in sets], pa.binary())], ["node", "set", "digest"])
 
     rows = _raw(docs).where(F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("node"), "raw", F.pmod(F.xxhash64("doc_id"), F.lit(1 << WANTED_BITS)).alias("bit"))
-    sets = rows.mapInArrow(work, "node long, set binary, digest binary").join(nodes, "node", "left_semi")
+    sets = rows.mapInArrow(lean(work), "node long, set binary, digest binary").join(nodes, "node", "left_semi")
     return written(sets.groupBy("node").agg(F.min(F.struct("digest", "set")).alias("s")).select("node", "s.set"), "jaccard-sets", owner)
 
 
@@ -250,7 +251,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, n: int, num: int, den: int, own
                 ok.append(den * overlap >= num * (len(x) + len(y) - overlap))
             yield batch.select(["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
-    return written(dealt.mapInArrow(work, "a long, b long"), "jaccard-links", owner)
+    return written(dealt.mapInArrow(lean(work), "a long, b long"), "jaccard-links", owner)
 
 
 def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owner: str = "session") -> DataFrame:
@@ -280,7 +281,7 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
             made = pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(size, pa.int64()), pa.array(first, longs), pa.array(bits, longs), pa.array(digest, pa.binary())], ["rep", "n", "shown", "sig", "digest"])
             yield made.filter(pa.array(np.array(size, dtype=np.int64) > 0))
 
-    shown_rows = _raw(docs).where(F.col("doc_id").isNotNull()).mapInArrow(show, "rep long, n long, shown array<bigint>, sig array<bigint>, digest binary")
+    shown_rows = _raw(docs).where(F.col("doc_id").isNotNull()).mapInArrow(lean(show), "rep long, n long, shown array<bigint>, sig array<bigint>, digest binary")
     # Of a class only its representative is compared; of rows that share an id, the one with the least set.
     keep = classes.groupBy("rep").agg(F.min("digest").alias("digest"))
     reps = shown_rows.join(keep, ["rep", "digest"]).dropDuplicates(["rep"])
@@ -392,7 +393,7 @@ def _apart_pairs(tiles: DataFrame, about: DataFrame, num: int, den: int, owner:
         found = np.unique(np.stack([np.concatenate([empty, *a]), np.concatenate([empty, *b])], axis=1), axis=0)
         return pa.RecordBatch.from_arrays([pa.array(found[:, 0], pa.int64()), pa.array(found[:, 1], pa.int64())], ["a", "b"])
 
-    return dealt.mapInArrow(compare, "a long, b long").distinct()
+    return dealt.mapInArrow(lean(compare), "a long, b long").distinct()
 
 
 def one_of_each_group(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owner: str = "session") -> DataFrame:

@@ -23,6 +23,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .memory import lean
+
 LENGTH, END_ID = 2048, 1
 SEGMENTS = 64
 #: Rests held by a task before they are packed.
@@ -239,4 +241,4 @@ def packed(docs: DataFrame, path: str, ranks: str | None = None, pattern: str |
         columns = list(zip(*made, strict=True))
         return pa.RecordBatch.from_arrays([pa.array(columns[0], of), *[pa.array(c, pa.int64()) for c in columns[1:]]], names)
 
-    return rows.mapInArrow(work, f"doc_id {kind}, " + ", ".join(f"{c} long" for c in names[1:]))
+    return rows.mapInArrow(lean(work), f"doc_id {kind}, " + ", ".join(f"{c} long" for c in names[1:]))

@@ -25,6 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.cuts import written
+from .memory import lean
 
 #: Labelled training texts at most: a broadcast of 20,000 pairs.
 SAMPLE = 20_000
@@ -168,8 +169,11 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, owner: str = "
     taught = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
     chosen = taught.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
     texts = docs.select("doc_id", F.col("text").cast("binary").alias("raw")).join(F.broadcast(chosen), "doc_id")
-    texts = texts.groupBy("doc_id", "toxic").agg(F.min("raw").alias("raw"))
-    texts = written(texts.select("raw", "toxic", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(PARTS)).cast("int").alias("part")), "toxic-texts", owner)
+    texts = written(texts.select("doc_id", "raw", "toxic", F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(PARTS)).cast("int").alias("part")), "toxic-texts", owner)
+    # Texts move only where an id has several.
+    if not texts.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty():
+        texts = written(texts.groupBy("doc_id", "toxic", "part").agg(F.min("raw").alias("raw")), "toxic-texts", owner)
+    texts = texts.select("raw", "toxic", "part")
 
     def count(batches):
         held: list[dict[bytes, int]] = [{} for _ in range(2 * PARTS)]  # by part and label; the empty term counts texts
@@ -191,7 +195,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, owner: str = "
         return pa.RecordBatch.from_arrays([pa.array(list(own), pa.binary()), pa.array(np.full(len(own), part, dtype=np.int32)), none if toxic else n, n if toxic else none], ["term", "part", "clean", "toxic"])
 
     of_part = lambda c, p: F.sum(F.when(F.col("part") == p, F.col(c)).otherwise(0)).alias(f"{c}{p}")
-    table = texts.mapInArrow(count, "term binary, part int, clean long, toxic long").groupBy("term").agg(*[of_part(c, p) for c in ("clean", "toxic") for p in range(PARTS)])
+    table = texts.mapInArrow(lean(count), "term binary, part int, clean long, toxic long").groupBy("term").agg(*[of_part(c, p) for c in ("clean", "toxic") for p in range(PARTS)])
     table = written(table, "toxic-terms", owner)
     got = table.where(F.length("term") == 0).first()
     n0, n1 = ([int(got[f"{c}{p}"]) for p in range(PARTS)] if got else [0] * PARTS for c in ("clean", "toxic"))
@@ -221,7 +225,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, owner: str = "
             yield pd.DataFrame({"best": best, "size": size, "toxic": pdf["toxic"].astype("int64")})
 
     # At most `sample` rows of three numbers.
-    tops = texts.mapInPandas(rate, "best double, size long, toxic long").toPandas()
+    tops = texts.mapInPandas(lean(rate), "best double, size long, toxic long").toPandas()
     clean = tops[tops["toxic"] == 0]
     decay, scale = extreme_value_law(clean["best"].to_numpy(), clean["size"].to_numpy(dtype=float))
 
@@ -229,7 +233,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, owner: str = "
         for pdf in batches:
             yield pd.DataFrame({"x": [Detector(sent.value[part].weights, decay, scale).evidence(raw) for raw, part in zip(pdf["raw"], pdf["part"], strict=True)], "toxic": pdf["toxic"].astype("double")})
 
-    found = texts.mapInPandas(weigh, "x double, toxic double").toPandas()
+    found = texts.mapInPandas(lean(weigh), "x double, toxic double").toPandas()
     slope, offset = _logistic(found["x"].to_numpy(), (found["toxic"] > 0).to_numpy(dtype=float))
     return Detector({bytes(r.term): r["all"] for r in kept if r["all"]}, decay, scale, slope, offset)
 
@@ -251,7 +255,7 @@ def score(docs: DataFrame, detector: Detector) -> DataFrame:
 
     kind = dict(docs.dtypes)["doc_id"]
     rows = docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("binary").alias("raw"))
-    out = rows.mapInArrow(work, f"doc_id {kind}, held_out boolean, score double, n_passages long")
+    out = rows.mapInArrow(lean(work), f"doc_id {kind}, held_out boolean, score double, n_passages long")
     return out.select("doc_id", "held_out", "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "n_passages")
 
 
@@ -270,7 +274,7 @@ def passages(docs: DataFrame, detector: Detector) -> DataFrame:
             )
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", F.col("text").cast("binary").alias("raw")).mapInArrow(work, f"doc_id {kind}, first_term long, end_term long, passage_score double, chance double")
+    return docs.select("doc_id", F.col("text").cast("binary").alias("raw")).mapInArrow(lean(work), f"doc_id {kind}, first_term long, end_term long, passage_score double, chance double")
 
 
 def clean_documents(docs: DataFrame, labels: DataFrame, owner: str = "session") -> DataFrame:
@@ -284,4 +288,4 @@ def clean_documents(docs: DataFrame, labels: DataFrame, owner: str = "session")
             x = np.array([d.evidence(raw) for raw in batch.column("text").cast(pa.binary()).to_pylist()])
             yield batch.filter(pa.array(d.probability(x) < 0.5, pa.bool_()))
 
-    return docs.mapInArrow(work, docs.schema)
+    return docs.mapInArrow(lean(work), docs.schema)
