@@ -168,6 +168,14 @@ def test_oracles_by_differences_and_overflow():
     assert e <= s <= f
 
 
+def test_difference_check_holds_on_long_clients():
+    """With the values of all rows summed first, rounding alone passed the bound of oracle_fd_check from some 700,000 rows on."""
+    rng = np.random.default_rng(2)
+    z = np.column_stack([rng.integers(0, 11, 800_000) / 10, rng.integers(0, 9, 800_000) / 8, np.ones(800_000)]) * np.where(rng.random(800_000) < 0.25, 1.0, -1.0)[:, None]
+    g, h = check_oracles(PROBLEM, z, np.array([0.3, -0.2, 0.1]))
+    assert g < 1e-9 and h < 1e-7
+
+
 @pytest.fixture(scope="module")
 def samples(spark):
     rng = np.random.default_rng(2)
