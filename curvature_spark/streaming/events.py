@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pandas as pd
@@ -37,12 +38,35 @@ def source(spark: SparkSession, sf_dir: str, parts: int = 1) -> tuple[DataFrame,
 
 
 def run(stream: DataFrame, mode: str) -> DataFrame:
-    """Run a stream over what there is into a table, and return that table."""
+    """Run a stream over what there is into a written table, and return that table.
+
+    Tasks write the rows; none pass through the driver. A batch that is repeated replaces its own folder.
+    """
     spark = stream.sparkSession
-    name = f"stream_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(spark)}/tables/{name}").start()
-    query.awaitTermination()
-    return spark.table(name)
+    base = f"{shared_dir(spark)}/tables/stream-{uuid.uuid4().hex}"
+    done: list[int] = []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/rows-{number}")
+        done.append(number)
+
+    with _state_on_disk(spark):
+        writer = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{base}/checkpoint")
+        writer.foreachBatch(keep).start().awaitTermination()
+    kept = done[-1:] if mode == "complete" else sorted(set(done))
+    return spark.read.schema(stream.schema).parquet(*[f"{base}/rows-{number}" for number in kept]) if kept else spark.createDataFrame([], stream.schema)
+
+
+@contextmanager
+def _state_on_disk(spark: SparkSession) -> Iterator[None]:
+    """While a stream starts and runs: keys lie in RocksDB, not on the heap."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
 
 
 def _windows(window) -> Callable[[SparkSession, str], DataFrame]:

@@ -1,13 +1,14 @@
 """Partial participation on a stream approaches the answer of the whole table."""
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from curvature_spark.operators import features
 from curvature_spark.operators.partition import pin
 from curvature_spark.operators.problems import LogisticProblem
 from curvature_spark.operators.rounds import global_gradient
-from curvature_spark.streaming.events import stream_hsn_pp
+from curvature_spark.streaming.events import stream_dedup, stream_hsn_pp
 
 
 def test_streamed_rounds_reduce_the_gradient(spark, small):
@@ -17,3 +18,12 @@ def test_streamed_rounds_reduce_the_gradient(spark, small):
     xs = [[r[f"x{i}"] for i in range(5)] for r in log]
     assert [r.batch for r in log] == list(range(4)) and all(r.active <= r.clients for r in log)
     assert norm(xs[-1]) < 0.2 * norm(xs[0])
+
+
+@pytest.mark.parametrize("query", [stream_dedup])
+def test_stream_rows_stay_out_of_the_driver(spark, small, query):
+    rows = query(spark, small)
+    plan = rows._jdf.queryExecution().optimizedPlan().toString()
+    assert "parquet" in plan and "MemoryPlan" not in plan and "LocalRelation" not in plan
+    want = spark.read.parquet(f"{small}/events.parquet").select("event_id").collect()
+    assert sorted(r.event_id for r in rows.select("event_id").collect()) == sorted(r.event_id for r in want)
