@@ -23,18 +23,25 @@ from ..operators.server import cholesky_solve
 from ..plans.cuts import shared_dir
 from ..sources.catalog import load
 
+#: Bytes of a row group in a part that is a single file.
+ROW_GROUP = 4 << 20
 SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
 def source(spark: SparkSession, sf_dir: str, parts: int = 1) -> tuple[DataFrame, str]:
-    """The events as a stream of `parts` files in order of time, and its folder."""
+    """The events as a stream of `parts` batches in order of time, and its folder.
+
+    One part is one batch of as many files as tasks wrote. Several parts have one file each, one a trigger, whose row
+    groups are read by several tasks.
+    """
     folder = f"{shared_dir(spark)}/tables/stream-{uuid.uuid4().hex}"
     rows = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", "value", "props")
     for p in range(parts):
         day = F.dayofmonth("ts") - 1
-        piece = rows if parts == 1 else rows.where((day * parts / 31).cast("int") == p)
-        piece.coalesce(1).write.parquet(f"{folder}/part={p}")
-    return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", "1").parquet(f"{folder}/part=*"), folder
+        piece = rows if parts == 1 else rows.where((day * parts / 31).cast("int") == p).coalesce(1)
+        piece.write.option("parquet.block.size", ROW_GROUP).parquet(f"{folder}/part={p}")
+    stream = spark.readStream.schema(SCHEMA)
+    return (stream if parts == 1 else stream.option("maxFilesPerTrigger", "1")).parquet(f"{folder}/part=*"), folder
 
 
 def run(stream: DataFrame, mode: str) -> DataFrame:

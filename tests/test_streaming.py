@@ -8,7 +8,7 @@ from curvature_spark.operators import features
 from curvature_spark.operators.partition import pin
 from curvature_spark.operators.problems import LogisticProblem
 from curvature_spark.operators.rounds import global_gradient
-from curvature_spark.streaming.events import stream_dedup, stream_hsn_pp
+from curvature_spark.streaming.events import stream_dedup, stream_hsn_pp, stream_static_join
 
 
 def test_streamed_rounds_reduce_the_gradient(spark, small):
@@ -20,7 +20,7 @@ def test_streamed_rounds_reduce_the_gradient(spark, small):
     assert norm(xs[-1]) < 0.2 * norm(xs[0])
 
 
-@pytest.mark.parametrize("query", [stream_dedup])
+@pytest.mark.parametrize("query", [stream_dedup, stream_static_join])
 def test_stream_rows_stay_out_of_the_driver(spark, small, query):
     rows = query(spark, small)
     plan = rows._jdf.queryExecution().optimizedPlan().toString()
