@@ -144,32 +144,32 @@ def stream_hsn_pp(spark, sf_dir, parts: int = 6, lam: float = 1e-3):
     Rows accumulate per user in a table; a round solves for x, then the active users update shift, error norm
     and corrected gradient from their rows so far. A batch commits by its number, so a repeated batch changes nothing.
     """
-    from ..operators.features import users
+    import pyarrow as pa
 
-    stream, folder = source(spark, sf_dir, parts)
+    from ..operators.features import user_samples
+
+    stream, _ = source(spark, sf_dir, parts)
     problem, compressor, d = LogisticProblem(lam), TopK(5), 5
     w = packed.length(d)
     base = f"{shared_dir(spark)}/tables/stream-model-{uuid.uuid4().hex}"
     model = {"h": np.zeros(w), "l": 0.0, "g": np.zeros(d), "n": 0, "state": None, "log": [], "done": set()}
-    samples = users(spark, sf_dir).withColumn("event_id", F.col("sample_key").cast("long")).select("event_id", "label", "features")
 
     def step(batch: DataFrame, number: int) -> None:
         if number in model["done"] or batch.isEmpty():
             return
         path = f"{base}/rows-{number}"
-        batch.select("event_id", "user_id").join(samples, "event_id").select("user_id", "label", "features").write.mode("overwrite").parquet(path)
+        user_samples(batch).select("user_id", "label", "features").repartition("user_id").write.mode("overwrite").parquet(path)
         rows = spark.read.parquet(*[f"{base}/rows-{i}" for i in sorted(model["done"] | {number})])
         active = spark.read.parquet(path).select("user_id").distinct()
         x = cholesky_solve(packed.unpack(model["h"], d) + model["l"] * np.eye(d), model["g"]) if model["n"] else np.zeros(d)
 
         def sums(batches):
-            for pdf in batches:
-                out = []
-                for user, own in pdf.groupby("user_id"):
-                    z = np.stack(own["features"].to_list()) * own["label"].to_numpy()[:, None]
-                    _, g, h = problem.sums(z, x)
-                    out.append((user, len(z), g.tolist(), h.tolist()))
-                yield pd.DataFrame(out, columns=["user_id", "n", "g", "h"])
+            for rows in batches:
+                ids, group = np.unique(rows.column("user_id").to_numpy(zero_copy_only=False), return_inverse=True)
+                z = rows.column("features").flatten().to_numpy(zero_copy_only=False).reshape(-1, d) * rows.column("label").to_numpy(zero_copy_only=False)[:, None]
+                g, h = problem.grouped(z, x, group, len(ids))
+                lists = [pa.ListArray.from_arrays(np.arange(0, v.size + 1, v.shape[1], dtype=np.int32), v.ravel()) for v in (g, h)]
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(np.bincount(group, minlength=len(ids)), pa.int64()), *lists], ["user_id", "n", "g", "h"])
 
         def advance(batches):
             for pdf in batches:
@@ -185,7 +185,7 @@ def stream_hsn_pp(spark, sf_dir, parts: int = 6, lam: float = 1e-3):
                 yield pd.DataFrame(out, columns=["user_id", "shift", "l", "q", "dh", "dl", "dq", "new"])
 
         # Rows become sums where they are read; a user with many events sends one row of sums a batch.
-        parts = rows.join(active, "user_id", "left_semi").mapInPandas(sums, "user_id long, n long, g array<double>, h array<double>")
+        parts = rows.join(active, "user_id", "left_semi").mapInArrow(sums, "user_id long, n long, g array<double>, h array<double>")
         total = lambda c, size: F.array(*[F.sum(F.col(c)[i]) for i in range(size)]).alias(c)
         own = parts.groupBy("user_id").agg(F.sum("n").alias("n"), total("g", d), total("h", w).alias("h"))
         blank = {"shift": F.lit(None).cast("array<double>"), "l": F.lit(0.0), "q": F.lit(None).cast("array<double>")}

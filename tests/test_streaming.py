@@ -27,3 +27,12 @@ def test_stream_rows_stay_out_of_the_driver(spark, small, query):
     assert "parquet" in plan and "MemoryPlan" not in plan and "LocalRelation" not in plan
     want = spark.read.parquet(f"{small}/events.parquet").select("event_id").collect()
     assert sorted(r.event_id for r in rows.select("event_id").collect()) == sorted(r.event_id for r in want)
+
+
+def test_sums_of_many_users_at_once():
+    rng = np.random.default_rng(4)
+    z, x, user = rng.normal(size=(50, 5)), rng.normal(size=5), rng.integers(0, 7, 50)
+    g, h = LogisticProblem().grouped(z, x, user, 8)
+    for u in range(8):
+        _, own_g, own_h = LogisticProblem().sums(z[user == u], x)
+        assert np.allclose(g[u], own_g) and np.allclose(h[u], own_h)
