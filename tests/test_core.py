@@ -13,7 +13,8 @@ from curvature_spark.operators import baselines, compressors, costmodel, feature
 from curvature_spark.operators.methods import shift_gap, train_partial, train_shifts
 from curvature_spark.operators.partition import pack_blocks, pin, split_equal, split_hashed
 from curvature_spark.operators.problems import LogisticProblem, QuadraticProblem, check_oracles, curvature_bounds, lipschitz_ratios
-from curvature_spark.operators.rounds import global_oracles
+from curvature_spark.operators.rounds import Engine, global_oracles
+from curvature_spark.plans import workloads
 
 PROBLEM = LogisticProblem(1e-3)
 
@@ -347,3 +348,41 @@ def test_plans(spark, small):
     assert "SortMergeJoin" in above and "Exchange" not in above and "Sort [" not in above
     scan = features.tiny(spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "o_orderdate" not in scan and "l_shipdate" not in scan.split("ReadSchema")[-1]
+
+
+def test_binary_clients_keep_positions(spark):
+    """Blocks of ones are positions in memory, and give what dense blocks give."""
+    rng = np.random.default_rng(3)
+    rows = [(str(i), i % 4, 1.0 if rng.random() < 0.5 else -1.0, [*map(int, np.nonzero(rng.random(40) < 0.1)[0]), 40]) for i in range(400)]
+    rows.append(("n", 1, 1.0, None))
+    clients = pin(spark.createDataFrame(rows, "sample_key string, client_id long, label double, hot array<int>"), 41)
+    assert clients.blocks.agg(F.max(F.length("z") / F.col("n_rows"))).first()[0] < 41 * 8 / 4
+    x = rng.normal(size=41)
+    data = {c: np.array([[(p in (r[3] or [])) * r[2] for p in range(41)] for r in rows if r[1] == c]) for c in range(4)}
+    want = [PROBLEM.finish(len(z), PROBLEM.sums(z, x), x) for z in data.values()]
+    f, g, h = global_oracles(clients, PROBLEM, x)
+    assert np.isclose(f, np.mean([w[0] for w in want])) and np.allclose(g, np.mean([w[1] for w in want], axis=0)) and np.allclose(h, np.mean([w[2] for w in want], axis=0))
+    found = baselines.client_gradients(clients, PROBLEM, x)
+    assert all(np.allclose(found[c], want[c][1]) for c in range(4))
+
+
+def test_runs_from_one_point_share_their_first_shifts(spark, small):
+    clients = workloads.tiny_clients(spark, small)
+    a, b = (Engine(clients, PROBLEM, compressors.make(kind, 3), 1.0) for kind in ("topk", "windowk"))
+    assert np.array_equal(a.start(np.zeros(3), "hessian")[0], b.start(np.zeros(3), "hessian")[0]) and a.shifts is b.shifts
+    b.start(np.ones(3), "hessian")
+    assert a.shifts is not b.shifts
+
+
+def test_repeated_rows_fold_and_give_the_same_gradients(spark, small):
+    clients, x = workloads.tiny_clients(spark, small), np.array([0.3, -0.2, 0.1])
+    few = baselines.client_gradients(clients, PROBLEM, x)
+    assert sum(n.sum() for _, n in clients.folded.values()) == sum(clients.rows.values())
+    clients.folded = {}  # as if rows were too many
+    jobs = baselines.client_gradients(clients, PROBLEM, x)
+    assert few.keys() == jobs.keys() and all(np.allclose(few[c], jobs[c], rtol=0, atol=1e-14) for c in jobs)
+
+
+@pytest.mark.parametrize("keys", [(7,), (7, 123, 4), (1 << 60, 1 << 60, 1 << 60)])
+def test_draws_at_once_are_the_single_draws(keys):
+    assert prng.draws(1200, *keys).tolist() == [prng.draw(*keys, i) for i in range(1200)]
