@@ -386,3 +386,33 @@ def test_repeated_rows_fold_and_give_the_same_gradients(spark, small):
 @pytest.mark.parametrize("keys", [(7,), (7, 123, 4), (1 << 60, 1 << 60, 1 << 60)])
 def test_draws_at_once_are_the_single_draws(keys):
     assert prng.draws(1200, *keys).tolist() == [prng.draw(*keys, i) for i in range(1200)]
+
+
+def test_pinned_blocks_lie_in_few_partitions_and_stay(spark, samples):
+    """A pass over blocks costs a task a partition, so their number follows the cores, whatever the session's shuffles use."""
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "40")
+    try:
+        clients = pin(split_equal(samples, 8), 6)
+        parts = clients.blocks.rdd.getNumPartitions()
+        assert parts == clients.parts <= 4 * spark.sparkContext.defaultParallelism < 40
+        engine = Engine(clients, PROBLEM, compressors.make("topk", 12), 1.0)
+        engine.start(np.zeros(6), "zero")
+        engine.round(np.zeros(6), 0)
+        assert engine._kept[-1].rdd.getNumPartitions() == parts
+        engine.release()
+        assert spark.conf.get("spark.sql.shuffle.partitions") == "40"
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+
+
+def test_shorter_steps_are_tried_only_after_the_full_one():
+    asked = []
+
+    def values(points):
+        asked.append(len(points))
+        return (points**2).sum(axis=1)
+
+    x = np.array([1.0, 0.0])
+    assert server.backtrack(values, x, -x, 1.0, -2.0, 0.49, 0.5) == 0 and asked == [1]
+    assert server.backtrack(values, x, -4 * x, 1.0, -8.0, 0.49, 0.5) == 2 and asked == [1, 1, 30]
