@@ -416,3 +416,10 @@ def test_shorter_steps_are_tried_only_after_the_full_one():
     x = np.array([1.0, 0.0])
     assert server.backtrack(values, x, -x, 1.0, -2.0, 0.49, 0.5) == 0 and asked == [1]
     assert server.backtrack(values, x, -4 * x, 1.0, -8.0, 0.49, 0.5) == 2 and asked == [1, 1, 30]
+
+
+def test_lbfgs_asks_for_values_only_where_the_first_step_fails(clients, answer, monkeypatch):
+    calls, kept = [], baselines.global_values
+    monkeypatch.setattr(baselines, "global_values", lambda *given: calls.append(1) or kept(*given))
+    x, log = baselines.lbfgs(clients, PROBLEM)
+    assert x == pytest.approx(answer, abs=1e-6) and len(calls) == sum(r["step_s"] != 0 for r in log.rows)
