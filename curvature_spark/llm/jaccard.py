@@ -20,13 +20,14 @@ unless the two are connected already.
 from __future__ import annotations
 
 import hashlib
+import uuid
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..plans.cuts import written
+from ..plans.cuts import release, written
 from .components import components
 from .hot import hot_join
 from .memory import lean
@@ -36,8 +37,8 @@ SKETCH_BITS = 18
 SIGNATURE_WORDS = 32
 #: Rows of a tile that one task compares with each other, about.
 GRID = 1024
-#: A set that many others are compared with goes to at most so many places, once to each.
-SALTS = 1024
+#: A set that many others are compared with goes to several places, once for about so many of them.
+PARTNERS = 64
 #: Seeds of the turns in which each tile draws the class that the others meet.
 DRAWN_TURNS = (1, 2)
 #: Bits of the filter of documents whose sets are wanted (1 MB); fuller filters pass more, never less.
@@ -201,7 +202,7 @@ def _wanted(ids: DataFrame) -> np.ndarray:
     return table
 
 
-def _sets_of(docs: DataFrame, nodes: DataFrame, n: int, owner: str) -> DataFrame:
+def _sets_of(docs: DataFrame, nodes: DataFrame, n: int) -> DataFrame:
     """node, set (sorted hashes as bytes) of the documents named in `nodes`, recomputed from their texts."""
     sent = docs.sparkSession.sparkContext.broadcast(_wanted(nodes))
 
@@ -215,7 +216,7 @@ def _sets_of(docs: DataFrame, nodes: DataFrame, n: int, owner: str) -> DataFrame
 
     rows = _raw(docs).where(F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("node"), "raw", F.pmod(F.xxhash64("doc_id"), F.lit(1 << WANTED_BITS)).alias("bit"))
     sets = rows.mapInArrow(lean(work), "node long, set binary, digest binary").join(nodes, "node", "left_semi")
-    return written(sets.groupBy("node").agg(F.min(F.struct("digest", "set")).alias("s")).select("node", "s.set"), "jaccard-sets", owner)
+    return sets.groupBy("node").agg(F.min(F.struct("digest", "set")).alias("s")).select("node", "s.set")
 
 
 def _possible(num: int, den: int, na: Column, nb: Column, sig_a: Column, sig_b: Column) -> Column:
@@ -225,15 +226,26 @@ def _possible(num: int, den: int, na: Column, nb: Column, sig_a: Column, sig_b:
     return (num * F.greatest(na, nb) <= den * F.least(na, nb)) & ((den + num) * (na + nb - d) >= 2 * num * (na + nb))
 
 
-def _verified(docs: DataFrame, pairs: DataFrame, n: int, num: int, den: int, owner: str) -> DataFrame:
-    """The pairs (a, b) whose sets reach the similarity, by intersecting sorted arrays; only sets of pairs are made."""
+def _places(pairs: DataFrame, owner: str) -> DataFrame:
+    """node, a, salt, b: the set of a (b null) once a place of about PARTNERS partners, the set of b once a pair."""
+    counts = written(pairs.groupBy("a").agg(F.count(F.lit(1)).alias("partners")).withColumn("uses", F.col("partners")), "jaccard-partners", owner)
+    salt = F.pmod(F.xxhash64("b"), F.ceil(F.col("partners") / PARTNERS)).cast("int")
+    salted = hot_join(pairs, counts, "a", "uses", owner).select("a", "b", salt.alias("salt"))
+    heads = salted.select("a", "salt").distinct().select(F.col("a").alias("node"), "a", "salt", F.lit(None).cast("long").alias("b"))
+    return heads.unionByName(salted.select(F.col("b").alias("node"), "a", "salt", "b"))
+
+
+def _verified(docs: DataFrame, pairs: DataFrame, n: int, num: int, den: int, owner: str, brief: str) -> DataFrame:
+    """The pairs (a, b) whose sets reach the similarity, by intersecting sorted arrays; only sets of pairs are made.
+
+    The sets are dealt by document as they are made and then to their places, and nowhere written. What stands under `brief`
+    goes when the links are there, the table of `pairs` with it.
+    """
     nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-    sets = _sets_of(docs, written(nodes, "jaccard-nodes", owner), n, owner)
-    # The set of a comes before those of its partners, once a place, not once a pair.
-    salted = pairs.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)).cast("int"))
-    heads = salted.select("a", "salt").distinct().join(sets.withColumnRenamed("node", "a"), "a").select("a", "salt", F.lit(None).cast("long").alias("b"), "set")
-    others = salted.join(sets.withColumnRenamed("node", "b"), "b").select("a", "salt", "b", "set")
-    dealt = heads.unionByName(others).repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
+    sets = _sets_of(docs, written(nodes, "jaccard-nodes", brief), n)
+    # The set of a comes before those of its partners.
+    met = _places(pairs, brief).join(sets, "node").select("a", "salt", "b", "set")
+    dealt = met.repartition("a", "salt").sortWithinPartitions("a", "salt", F.col("b").asc_nulls_first())
 
     def work(batches):
         head, x = None, None
@@ -251,7 +263,9 @@ def _verified(docs: DataFrame, pairs: DataFrame, n: int, num: int, den: int, own
                 ok.append(den * overlap >= num * (len(x) + len(y) - overlap))
             yield batch.select(["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
-    return written(dealt.mapInArrow(lean(work), "a long, b long"), "jaccard-links", owner)
+    links = written(dealt.mapInArrow(lean(work), "a long, b long"), "jaccard-links", owner)
+    release(brief)
+    return links
 
 
 def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owner: str = "session") -> DataFrame:
@@ -263,7 +277,8 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     doc_id reachable by links, itself included. Repeated rows and rows sharing an id are one document in the
     links; null ids link with nothing and have a null component. An empty table gives no rows.
     """
-    base = _base(docs, n, owner)
+    fresh = lambda: f"{owner}-{uuid.uuid4().hex}"  # noqa: E731  an owner of tables that go before the result is read
+    base, early, held, lasting = _base(docs, n, owner), fresh(), fresh(), fresh()
     rows = base.where("slot < 0").select("doc_id", "n", "digest")
     classes = written(rows.where("n > 0 AND doc_id IS NOT NULL").groupBy("digest").agg(F.min("doc_id").alias("rep")), "jaccard-classes", owner)
     ranks = docs.sparkSession.sparkContext.broadcast(_sketch_ranks(base))
@@ -284,42 +299,47 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
     shown_rows = _raw(docs).where(F.col("doc_id").isNotNull()).mapInArrow(lean(show), "rep long, n long, shown array<bigint>, sig array<bigint>, digest binary")
     # Of a class only its representative is compared; of rows that share an id, the one with the least set.
     keep = classes.groupBy("rep").agg(F.min("digest").alias("digest"))
-    reps = shown_rows.join(keep, ["rep", "digest"]).dropDuplicates(["rep"])
-    reps = written(reps.select("rep", "n", "shown", "sig"), "jaccard-reps", owner)
-    about = reps.select("rep", "n", "sig")
+    # Joined by rep alone, rows stay where they are while duplicates are dropped.
+    reps = shown_rows.join(keep.withColumnRenamed("digest", "kept"), "rep").where("digest = kept").dropDuplicates(["rep"])
+    reps = written(reps.select("rep", "n", "shown", "sig"), "jaccard-reps", early)
     tiles = reps.select("rep", "n", F.explode("shown").alias("tile"))
     led = tiles.groupBy("tile").agg(F.count(F.lit(1)).alias("members"), F.min("rep").alias("leader")).where("members > 1")
-    led = written(led.withColumn("uses", F.col("members")), "jaccard-led", owner)
-    tiles = written(hot_join(tiles, led, "tile", "uses", owner).select("tile", "rep", "n", "members", "leader"), "jaccard-tiles", owner)
+    led = written(led.withColumn("uses", F.col("members")), "jaccard-led", early)
+    tiles = written(hot_join(tiles, led, "tile", "uses", early).select("tile", "rep", "n", "members", "leader"), "jaccard-tiles", held)
+    about = written(reps.select("rep", "n", "sig"), "jaccard-about", lasting)
+    release(early)
 
-    def filtered(pairs: DataFrame) -> DataFrame:
-        pairs = written(pairs, "jaccard-met", owner)
+    def filtered(pairs: DataFrame, brief: str) -> DataFrame:
+        pairs = written(pairs, "jaccard-met", brief)
         a = about.select(F.col("rep").alias("a"), F.col("n").alias("na"), F.col("sig").alias("sa"))
         b = about.select(F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("sig").alias("sb"))
-        met = hot_join(pairs, a, "a", owner=owner).join(b, "b").where(_possible(num, den, F.col("na"), F.col("nb"), F.col("sa"), F.col("sb")))
-        return written(met.select("a", "b"), "jaccard-pairs", owner)
+        met = hot_join(pairs, a, "a", owner=brief).join(b, "b").where(_possible(num, den, F.col("na"), F.col("nb"), F.col("sa"), F.col("sb")))
+        return written(met.select("a", "b"), "jaccard-pairs", brief)
 
-    first = filtered(tiles.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct())
-    links = _verified(docs, first, n, num, den, owner)
+    brief = fresh()
+    first = filtered(tiles.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct(), brief)
+    links = _verified(docs, first, n, num, den, owner, brief)
     roots = components(links, owner)
     tiles = tiles.drop("members", "leader")
     turns = [*DRAWN_TURNS, None]
     while turns:
-        turn = turns.pop(0)
+        turn, brief = turns.pop(0), fresh()
         # Tiles whose classes are still apart; two classes have met already.
         placed = tiles.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").withColumn("root", F.coalesce("root", "rep"))
-        placed = written(placed, "jaccard-placed", owner)
+        placed = written(placed, "jaccard-placed", brief)
+        release(held)  # the tiles of the turn before
         drawn = F.min_by(F.struct("rep", "root"), F.xxhash64("rep", "tile", F.lit(turn or 0)))
         apart = placed.groupBy("tile").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("members"), drawn.alias("leader")).where("lo < hi AND members > 2")
-        apart = written(apart.drop("lo", "hi").withColumn("uses", F.col("members")), "jaccard-apart", owner)
-        open_tiles = written(hot_join(placed, apart, "tile", "uses", owner), "jaccard-open", owner)
+        apart = written(apart.drop("lo", "hi").withColumn("uses", F.col("members")), "jaccard-apart", brief)
+        open_tiles = written(hot_join(placed, apart, "tile", "uses", brief), "jaccard-open", held)
+        release(brief)
         if open_tiles.isEmpty():
             break
         if turn is None:
-            pairs = _apart_pairs(open_tiles.drop("leader"), about, num, den, owner)
+            pairs = _apart_pairs(open_tiles.drop("leader"), about, num, den, brief)
         else:
             pairs = open_tiles.where("root <> leader.root").select(F.col("leader.rep").alias("a"), F.col("rep").alias("b")).distinct()
-        found = _verified(docs, filtered(pairs), n, num, den, owner)
+        found = _verified(docs, filtered(pairs, brief), n, num, den, owner, brief)
         tiles = open_tiles.select("tile", "rep", "n")
         if found.isEmpty():
             turns = turns[-1:]  # drawn classes connect nothing more
@@ -327,6 +347,8 @@ def similar_groups(docs: DataFrame, n: int = 5, num: int = 4, den: int = 5, owne
         links = links.unionByName(found)
         roots = components(links, owner)
 
+    release(held)
+    release(lasting)
     by_class = classes.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").select("digest", F.coalesce("root", "rep").alias("root"))
     return rows.join(by_class, "digest", "left").select(
         "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id")

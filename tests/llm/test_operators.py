@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from curvature_spark.llm import hmm, jaccard, mixing, naming, packing, sharding, tokens, topk, toxicity, urls
 from curvature_spark.llm.components import components
 from curvature_spark.llm.queries import vocabulary
+from curvature_spark.plans import cuts
 
 SCHEMA = "doc_id long, text string, source string, lang string, size long, name string"
 LONG = " ".join(f"word{i % 997}" for i in range(30_000))
@@ -151,6 +152,22 @@ def test_similar_groups(spark, docs, n, num, den):
     assert got == brute_components([(i, t) for i, t, _ in TEXTS], n, num, den)
 
 
+def test_join_frees_tables_as_it_goes(spark):
+    """Sets, tiles and their like are gone when the join returns; the set of a document with few partners goes to one place."""
+    words = [f"w{i}" for i in range(40)]
+    texts = [" ".join(words[:-1] + [f"x{i}"]) for i in range(12)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    out = jaccard.similar_groups(docs, 5, 4, 5, owner="frees")
+    left = {path.rsplit("/", 1)[1].rsplit("-", 1)[0] for _, path in cuts._LIVE["frees"]}
+    assert left == {"jaccard-base", "jaccard-classes", "jaccard-links", "links"}
+    assert not [owner for owner in cuts._LIVE if owner.startswith("frees-")]
+    assert {r.component_id for r in out.collect()} == {0}
+    pairs = cuts.written(spark.range(1, 40).selectExpr("0L AS a", "id AS b"), "pairs", "frees")
+    places = jaccard._places(pairs, "frees").collect()
+    assert sum(r.b is None for r in places) == 1 and sorted(r.b for r in places if r.b is not None) == list(range(1, 40))
+    cuts.release("frees")
+
+
 def test_similar_groups_of_a_shared_passage(spark, monkeypatch):
     """Many texts share a passage and few are near copies; small grid blocks, so that tiles are cut."""
     monkeypatch.setattr(jaccard, "GRID", 4)
