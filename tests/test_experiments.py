@@ -41,3 +41,10 @@ def test_onehot_curves_are_not_cut(spark, small, asked):
     """All kinds, three methods, and no bound below the published thousand rounds."""
     assert entry.queries()["experiment_curves_onehot"](spark, small).count() == 3 * len(KINDS)
     assert asked["train_shifts"] == [1000] * 2 * len(KINDS) and asked["train_partial"] == [1000] * len(KINDS)
+
+
+def test_sparse_solvers_are_not_cut(spark, small, asked):
+    """Window messages need 178 rounds of search at sf0.1, splitting is at 5e-4 after 120: no bound below a thousand."""
+    rows = entry.queries()["experiment_solvers_sparse"](spark, small).collect()
+    assert len(rows) == len(KINDS) + 4 and asked["train_shifts"] == [1000] * len(KINDS)
+    assert asked["admm"] == [1000] and asked["lbfgs"] == [1000] and len(asked["damped_newton"]) == 1
