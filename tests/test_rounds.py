@@ -4,7 +4,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from curvature_spark.operators import compressors
+from curvature_spark.operators import compressors, features
 from curvature_spark.operators.partition import Clients, Ones, hot_rows, pin
 from curvature_spark.operators.rounds import Engine
 from curvature_spark.plans.workloads import PROBLEM
@@ -50,3 +50,13 @@ def test_resting_clients_pass_through_a_round(spark):
         engine.release()
     assert all(results[0][c] == pytest.approx(results[1][c]) for c in range(6))
     clients.release()
+
+
+def test_pinned_blocks_forget_how_samples_were_made(spark, small):
+    """What every round plans on is a table of blocks, not the joins behind the samples."""
+    samples = features.portable_split(features.onehot(spark, small), 4)
+    clients = pin(samples, features.DIMENSIONS["onehot"])
+    assert "Join" in samples._jdf.queryExecution().analyzed().toString()
+    assert "Join" not in clients.blocks._jdf.queryExecution().analyzed().toString()
+    assert sum(clients.rows.values()) == samples.count()
+    clients.release()
